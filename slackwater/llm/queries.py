@@ -5,7 +5,7 @@ from __future__ import annotations
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from . import binary_output, line_dedup, packing, prefix_bpe, quality, sharding, simhash, suffix_dedup, topk
+from . import binary_output, line_dedup, packing, prefix_bpe, quality, sharding, simhash, suffix_dedup, topk, toxicity
 from .common import documents
 
 RANKS = public_tokenizers.path("byte_bpe_50k.tiktoken")
@@ -25,6 +25,11 @@ def op3_line_suffix_array(spark: SparkSession, sf_dir: str) -> DataFrame:
     return df.select("doc_id", "n_lines", "n_removed", "longest_run", "kept_text")
 
 
+def op4_subsequence_kernel_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
+    return toxicity.judge(documents(spark, sf_dir), labels, limit=0.3)
+
+
 def op5_maxscore_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
     vectors = spark.read.parquet(f"{sf_dir}/embeddings.parquet")
     return topk.top_k(vectors, vectors.filter("vec_id % 50 = 0"), k=5, scale=256)
@@ -50,5 +55,5 @@ def op10_binary_output(spark: SparkSession, sf_dir: str) -> DataFrame:
     return binary_output.matrices(documents(spark, sf_dir), RANKS, PATTERN)
 
 
-QUERIES = {f.__name__: f for f in (op1_cost_balanced_packing, op2_run_length_index, op3_line_suffix_array, op5_maxscore_top_k, op6_distribution_divergence, op7_kd_tree_sharding, op8_prefix_bpe, op9_simhash_trie, op10_binary_output)}
+QUERIES = {f.__name__: f for f in (op1_cost_balanced_packing, op2_run_length_index, op3_line_suffix_array, op4_subsequence_kernel_toxicity, op5_maxscore_top_k, op6_distribution_divergence, op7_kd_tree_sharding, op8_prefix_bpe, op9_simhash_trie, op10_binary_output)}
 ORACLES: dict[str, str] = {}
