@@ -19,6 +19,7 @@ from pyspark.sql import functions as F
 from .common import GAP, WHITE, scratch
 
 KEY = ("doc_id", "text_hash")
+TAKEN = ("text_hash", "gone", "gone_doc_id", "gone_text_hash", "kept_text", "n_lines", "n_removed", "longest_run")
 
 
 def line_places(docs: DataFrame) -> DataFrame:
@@ -53,8 +54,9 @@ def repeated_suffixes(lines: DataFrame, min_lines: int, min_words: int, max_roun
 
 
 def dedup_lines(docs: DataFrame, min_lines: int = 2, min_words: int = 20) -> DataFrame:
-    """docs (doc_id, text and any others) with kept_text, n_lines, n_removed and longest_run (lines of the longest run
+    """docs (doc_id, text and any others; those named as in TAKEN are replaced) with kept_text, n_lines, n_removed and longest_run (lines of the longest run
     of 1, 2, 4, ... lines that starts in the document and earlier)."""
+    docs = docs.drop(*TAKEN)
     lines = scratch(line_places(docs))
     found = repeated_suffixes(lines, min_lines, min_words)
     docs = docs.withColumn("text_hash", F.xxhash64("text"))

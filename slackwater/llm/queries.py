@@ -17,7 +17,8 @@ def op1_cost_balanced_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op2_run_length_index(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return suffix_dedup.dedup(documents(spark, sf_dir), length=100)
+    df = suffix_dedup.dedup(documents(spark, sf_dir, "doc_id", "text"), length=100)
+    return df.select("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256")
 
 
 def op3_line_suffix_array(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -17,8 +17,9 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .common import scratch, split_count
 
@@ -40,14 +41,15 @@ def fingerprint(text: str | None, words: int, seed: int) -> int:
     return int(np.packbits(bits.sum(axis=0, dtype=np.uint32) * 2 > len(bits)).view(">i8")[0])
 
 
-def fingerprints(docs: DataFrame, words: int = 4, seed: int = 42) -> DataFrame:
-    """doc_id and its fingerprint, as a long."""
+def fingerprints(docs: DataFrame, words: int = 4, seed: int = 42, also: list[Column] | None = None) -> DataFrame:
+    """doc_id, the columns `also`, and the fingerprint as a long, bits."""
+    df = docs.select("doc_id", "text", *(also or []))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            yield pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()), pa.array([fingerprint(t.as_py(), words, seed) for t in batch.column(1)], pa.int64())], names=["doc_id", "bits"])
+            yield batch.drop_columns("text").append_column("bits", pa.array([fingerprint(t.as_py(), words, seed) for t in batch.column(1)], pa.int64()))
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, bits long")
+    return df.mapInArrow(run, T.StructType([*df.drop("text").schema.fields, T.StructField("bits", T.LongType())]))
 
 
 def labels_of(u: np.ndarray, v: np.ndarray, n: int) -> np.ndarray:
@@ -188,12 +190,29 @@ def components(edges: DataFrame) -> DataFrame:
         state = now
 
 
-def near_duplicates(docs: DataFrame, words: int = 4, budget: int = 4, seed: int = 42) -> DataFrame:
-    """doc_id, fingerprint (16 hexadecimal digits) and component_id of every row of docs (doc_id, text)."""
-    prints = scratch(fingerprints(docs, words, seed))
+def groups(prints: DataFrame, budget: int = 4) -> DataFrame:
+    """bits, root and component_id of every fingerprint in prints (doc_id, bits); a root is one group's own."""
     nodes = scratch(prints.groupBy("bits").agg(F.min("doc_id").alias("least")))
     roots = components(links(nodes, budget))
     named = scratch(nodes.join(roots, nodes["bits"] == roots["node"], "left").select("bits", "least", F.coalesce("root", "bits").alias("root")))
     group = scratch(named.groupBy("root").agg(F.min("least").alias("component_id")))
-    named = scratch(named.join(group, "root").select("bits", "component_id"))
-    return prints.join(named, "bits").select("doc_id", F.lower(F.lpad(F.hex("bits"), 16, "0")).alias("fingerprint"), "component_id")
+    return scratch(named.join(group, "root").select("bits", "root", "component_id"))
+
+
+def near_duplicates(docs: DataFrame, words: int = 4, budget: int = 4, seed: int = 42) -> DataFrame:
+    """doc_id, fingerprint (16 hexadecimal digits) and component_id of every row of docs (doc_id, text)."""
+    prints = scratch(fingerprints(docs, words, seed))
+    return prints.join(groups(prints, budget), "bits").select("doc_id", F.lower(F.lpad(F.hex("bits"), 16, "0")).alias("fingerprint"), "component_id")
+
+
+def keep_first(docs: DataFrame, words: int = 5, budget: int = 4, seed: int = 42) -> DataFrame:
+    """The rows of docs that stay when each group of near-duplicates keeps one: that of the smallest doc_id; of several
+    rows with that id, that of the smallest text hash. Columns stay as they are."""
+    key = F.xxhash64(F.coalesce("text", F.lit("")))
+    prints = scratch(fingerprints(docs, words, seed, [key.alias("key")]))
+    first = prints.join(groups(prints, budget), "bits").filter(F.col("doc_id").eqNullSafe(F.col("component_id")))
+    first = scratch(first.groupBy("root", "doc_id").agg(F.min("key").alias("key")).select(F.col("doc_id").alias("first_id"), F.col("key").alias("first_key")))
+    tagged = docs.withColumns({"_key": key, "_salt": F.monotonically_increasing_id()})
+    stays = tagged.join(first, tagged["doc_id"].eqNullSafe(first["first_id"]) & (tagged["_key"] == first["first_key"])).select(*docs.columns, "_key", "_salt")
+    one = Window.partitionBy("doc_id", "_key").orderBy("_salt")
+    return stays.withColumn("_n", F.row_number().over(one)).filter("_n = 1").select(*docs.columns)

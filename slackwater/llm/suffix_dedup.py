@@ -14,7 +14,7 @@ Windows never cross documents. Names are 96 bits: the chance that any two differ
 below one in ten thousand. A shard works in blocks of bounded bytes; an anchor whose phrases exceed a block is split by
 the place of the anchor in the window, which equal windows share.
 
-Rows: a null text is empty; rows equal in doc_id and text count as one document and share its result; rows with one
+Rows: a null text is empty (and comes back empty); rows equal in doc_id and text count as one document and share its result; rows with one
 doc_id and different texts are ordered by a hash of the text; null doc_ids come first; an empty table gives no rows.
 """
 
@@ -28,6 +28,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .common import packed_bytes, scratch
 from .simhash import ranges
@@ -388,16 +389,18 @@ def take_bytes(length: int):
 
 
 def keyed(docs: DataFrame) -> DataFrame:
+    """docs with the keys doc and tie, and no null text."""
     text = F.coalesce("text", F.lit(""))
-    return docs.select(F.coalesce("doc_id", F.lit(FIRST)).cast("long").alias("doc"), F.xxhash64(text).bitwiseAND(0xFFFFFFFF).alias("tie"), text.alias("text"))
+    return docs.withColumns({"doc": F.coalesce("doc_id", F.lit(FIRST)).cast("long"), "tie": F.xxhash64(text).bitwiseAND(0xFFFFFFFF), "text": text})
 
 
 def repeats(docs: DataFrame, length: int = 100) -> DataFrame:
-    """doc, tie, text of every row, and marked: the (start, n) of windows that match an earlier place, or null."""
+    """keyed(docs) with marked: the (start, n) of the windows of each text that match an earlier place, or null."""
     texts = keyed(docs)
-    notes = scratch(texts.mapInArrow(find_phrases(length), DEALT).repartition("key").mapInArrow(settle, NOTES))
+    narrow = texts.select("doc", "tie", "text")
+    notes = scratch(narrow.mapInArrow(find_phrases(length), DEALT).repartition("key").mapInArrow(settle, NOTES))
     asked = notes.filter("key is not null").groupBy("doc", "tie").agg(F.collect_list(F.struct("start", "n", "off", "key")).alias("asked"))
-    found = texts.join(asked, ["doc", "tie"]).select("doc", "tie", "text", "asked")
+    found = narrow.join(asked, ["doc", "tie"]).select("doc", "tie", "text", "asked")
     found = found.mapInArrow(take_bytes(length), ASKED).repartition("key").mapInArrow(match(length), MARKS)
     marks = notes.filter("key is null").select("doc", "tie", "start", "n").unionByName(found)
     marks = marks.groupBy("doc", "tie").agg(F.collect_list(F.struct("start", "n")).alias("marked"))
@@ -416,30 +419,35 @@ def covered(marks, length: int) -> list[tuple[int, int]]:
     return out
 
 
-RESULT = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string"
+MADE = T.StructType([T.StructField(n, t) for n, t in (("n_bytes", T.LongType()), ("n_removed", T.LongType()), ("n_spans", T.LongType()), ("kept_sha256", T.StringType()), ("kept_text", T.StringType()))])
+TAKEN = ("doc", "tie", "marked", *MADE.names)
 
 
-def dedup(docs: DataFrame, length: int = 100, keep_text: bool = False) -> DataFrame:
-    """One row for each row of docs (doc_id, text): see RESULT; with keep_text, also tie and kept_text, in which bytes
-    of characters that were cut in two are left out."""
+def dedup(docs: DataFrame, length: int = 100) -> DataFrame:
+    """docs (doc_id, text and any others; those named as in TAKEN are replaced) with the columns MADE. kept_text leaves
+    out what remains of characters that were cut in two; kept_sha256 is of the remaining bytes themselves."""
+    kept = [c for c in docs.columns if c not in TAKEN]
+    df = repeats(docs.select(*kept), length).select(*kept, "marked")
+    text_at, marks_at = kept.index("text"), len(kept)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            out: list[list] = [[] for _ in range(7)]
-            for doc, tie, text, marks in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2), batch.column(3), strict=True):
-                data, kept = text.as_py().encode("utf-8", "surrogatepass"), text.as_py()
-                gone = []
+            out: list[list] = [[] for _ in MADE]
+            for text, marks in zip(batch.column(text_at), batch.column(marks_at), strict=True):
+                rest = text.as_py()
+                data = rest.encode("utf-8", "surrogatepass")
+                n, gone = len(data), []
                 if marks.is_valid and len(marks):
                     flat = marks.values
                     gone = covered(zip(flat.field(0).to_pylist(), flat.field(1).to_pylist(), strict=True), length)
-                    ends = [0, *(x for span in gone for x in span), len(data)]
-                    n = len(data)
+                    ends = [0, *(x for span in gone for x in span), n]
                     data = b"".join(data[a:b] for a, b in zip(ends[::2], ends[1::2], strict=True))
-                    kept = data.decode("utf-8", "ignore") if keep_text else ""
-                for to, value in zip(out, (None if doc == FIRST else doc, len(data) if not gone else n, sum(b - a for a, b in gone), len(gone), hashlib.sha256(data).hexdigest(), tie, kept), strict=True):
+                    rest = data.decode("utf-8", "ignore")
+                for to, value in zip(out, (n, n - len(data), len(gone), hashlib.sha256(data).hexdigest(), rest), strict=True):
                     to.append(value)
-            kinds = [pa.int64()] * 4 + [pa.string()] + ([pa.int64(), pa.string()] if keep_text else [])
-            names = [x.split()[0] for x in RESULT.split(", ")] + (["tie", "kept_text"] if keep_text else [])
-            yield fill(names, kinds, out[: len(kinds)])
+            batch = batch.drop_columns("marked")
+            for name, values in zip(MADE.names, out, strict=True):
+                batch = batch.append_column(name, pa.array(values, pa.string() if name.startswith("kept") else pa.int64()))
+            yield batch
 
-    return repeats(docs, length).mapInArrow(run, RESULT + (", tie long, kept_text string" if keep_text else ""))
+    return df.mapInArrow(run, T.StructType([*df.drop("marked").schema.fields, *MADE.fields]))
