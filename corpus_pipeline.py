@@ -1,12 +1,54 @@
-"""The corpus pipeline: each stage takes what the one before kept."""
+"""The corpus pipeline: toxicity, line dedup, near-dedup, suffix-array dedup, packing.
+
+Each stage takes what the one before kept, (spark, docs, sf_dir), and all but the last give back the columns of
+documents. run() applies them to documents, with every stage's result written to the shared folder and read again.
+"""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from slackwater.llm import line_dedup, packing, simhash, suffix_dedup, toxicity
+from slackwater.llm.common import documents, scratch
+from slackwater.llm.queries import PATTERN, RANKS
+
+
+def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that are more likely toxic than not go."""
+    labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
+    scored = toxicity.scored(docs, toxicity.fit(docs, labels))
+    return scored.filter("score < 0.5").select(*docs.columns)
+
+
+def with_text(docs: DataFrame, made: DataFrame) -> DataFrame:
+    """The columns of docs, with the text that a stage kept and its length."""
+    new = {"text": F.col("kept_text"), "n_chars": F.length("kept_text").cast("long")}
+    return made.withColumns({c: x for c, x in new.items() if c in docs.columns}).select(*docs.columns)
+
+
+def drop_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return with_text(docs, line_dedup.dedup_lines(docs))
+
+
+def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return simhash.keep_first(docs, words=5, budget=4)
+
+
+def drop_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return with_text(docs, suffix_dedup.dedup(docs, length=100))
+
+
+def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return packing.pack(docs, RANKS, PATTERN, room=1024, end_id=0)
+
 
-STAGES: list = []
-ORACLE_SQL = None
+STAGES = [("toxicity", drop_toxic), ("line dedup", drop_lines), ("near-dedup", drop_near_copies), ("suffix-array dedup", drop_repeats), ("packing", pack)]
+ORACLE_SQL = None  # the machine, fingerprints and packing are beyond SQL; tests hold each stage against brute force
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    raise NotImplementedError
+    docs = documents(spark, sf_dir)
+    for _, stage in STAGES[:-1]:
+        docs = scratch(stage(spark, docs, sf_dir))
+    return STAGES[-1][1](spark, docs, sf_dir)
