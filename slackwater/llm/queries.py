@@ -4,8 +4,9 @@ from __future__ import annotations
 
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from . import binary_output, line_dedup, packing, prefix_bpe, quality, sharding, simhash, suffix_dedup, topk, toxicity
+from . import binary_output, line_dedup, oracles, packing, prefix_bpe, quality, sharding, simhash, suffix_dedup, topk, toxicity
 from .common import documents
 
 RANKS = public_tokenizers.path("byte_bpe_50k.tiktoken")
@@ -37,7 +38,8 @@ def op5_maxscore_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op6_distribution_divergence(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return quality.judge(documents(spark, sf_dir))
+    df = quality.judge(documents(spark, sf_dir))
+    return df.withColumns({c: F.round(c, 6) for c in ("class_distance", "word_distance")})
 
 
 def op7_kd_tree_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -57,4 +59,9 @@ def op10_binary_output(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {f.__name__: f for f in (op1_cost_balanced_packing, op2_run_length_index, op3_line_suffix_array, op4_subsequence_kernel_toxicity, op5_maxscore_top_k, op6_distribution_divergence, op7_kd_tree_sharding, op8_prefix_bpe, op9_simhash_trie, op10_binary_output)}
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {
+    "op2_run_length_index": oracles.RUN_LENGTH_INDEX,
+    "op3_line_suffix_array": oracles.line_suffix_array(),
+    "op5_maxscore_top_k": oracles.MAXSCORE,
+    "op6_distribution_divergence": oracles.distribution_divergence(),
+}
