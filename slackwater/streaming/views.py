@@ -71,7 +71,7 @@ def as_stream(df: DataFrame, files: int, order: str) -> DataFrame:
 
 def join_streams(spark: SparkSession, orders: DataFrame, lines: DataFrame) -> DataFrame:
     """Aligned streams: each row gets the time of its key, and partners are within the watermark of each other."""
-    at = lambda k: F.timestamp_seconds(F.col(k)).alias("at")
+    at = lambda k: F.timestamp_seconds(F.col(k) + 86400).alias("at")
     left = as_stream(orders.select("o_orderkey", at("o_orderkey")), 3, "o_orderkey").withWatermark("at", "30 days")
     right = as_stream(lines.select("l_orderkey", at("l_orderkey")), 3, "l_orderkey").withWatermark("at", "30 days").withColumnRenamed("at", "l_at")
     near = (F.col("o_orderkey") == F.col("l_orderkey")) & F.col("l_at").between(F.col("at") - F.expr("interval 1 hour"), F.col("at") + F.expr("interval 1 hour"))

@@ -10,6 +10,8 @@ NAMES = ("tpch_q1", "tpch_q3", "tpch_q4", "tpch_q6", "tpch_q9", "tpch_q10", "tpc
 PER_UNIT = (0.1, 0.15, 0.115, 0.07, 0.175, 0.135, 0.12, 0.08, 0.09, 0.04, 0.075, 0.07, 0.045)
 OVERHEAD = (30, 60, 40, 20, 114, 70, 10, 25, 35, 15, 50, 30, 15)
 SHARE = 0.95
+STAGGER = 0.5
+"""Between deadlines, in times of the single batch on 20 nodes."""
 
 
 def law(per_unit: float, overhead: float, merge_each: float = 0.05, merge_fixed: float = 2.0) -> TimeLaw:
@@ -17,12 +19,12 @@ def law(per_unit: float, overhead: float, merge_each: float = 0.05, merge_fixed:
 
 
 def thirteen(deadline: float = 1.0, rate: float = 1.0, arrivals: Arrivals | None = None, units: int = UNITS) -> list[QuerySpec]:
-    """All queries over one window; deadlines are staggered so that each alone, one after another on 20 nodes, fits,
-    and shrink with `deadline`. rate: multiples of the units in the same window."""
+    """All queries over one window; deadlines are staggered by half of each query's single batch on 20 nodes, and
+    shrink with `deadline`. rate: multiples of the units in the same window."""
     total, at, out = round(units * rate), WINDOW, []
     for name, per_unit, overhead in zip(NAMES, PER_UNIT, OVERHEAD, strict=True):
         x = law(per_unit, overhead)
-        at += TimeLaw.batch(x, 20, units)
+        at += STAGGER * x.batch(20, units)
         out.append(QuerySpec(name, 0.0, WINDOW, WINDOW + (at - WINDOW) * deadline, total, x, arrivals.scaled(total / arrivals.total) if arrivals else None))
     return out
 
