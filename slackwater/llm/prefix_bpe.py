@@ -28,53 +28,83 @@ SCHEMA = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
 class PrefixEncoder:
     """Tables of last tokens over a vocabulary of byte ranks. kept: how many pairs and pre-tokens memory may hold."""
 
-    def __init__(self, ranks: dict[bytes, int], kept: int = 400_000):
-        self.ranks, self.kept = ranks, kept
+    def __init__(self, ranks: dict[bytes, int], kept: int = 800_000, shared: int = 10):
+        self.ranks, self.kept, self.shared = ranks, kept, shared
+        self.tails: dict[bytes, bytes] = {}  # the last token of each short prefix
         self.bytes_of = {i: b for b, i in ranks.items()}
         self.longest = max(map(len, ranks))
-        self.whole = {b for b in ranks if len(b) == 1}  # known to encode to themselves
-        self.broken: set[bytes] = set()
+        self.sound: dict[bytes, bool] = {}
+        self.split: dict[bytes, tuple[bytes, bytes] | None] = {}
         self.pairs: dict[tuple[bytes, bytes], bool] = {}
         self.known: dict[bytes, tuple[int, str, bytes]] = {}
 
-    def merged(self, data: bytes) -> list[bytes]:
-        """Plain merging of the lowest rank first: decides what follows what, on strings of two tokens."""
+    def merged(self, data: bytes, until: int = 1) -> list[bytes]:
+        """Plain merging of the lowest rank first, until so many parts are left: the last merge of a token shows how
+        it splits."""
         parts = [data[i : i + 1] for i in range(len(data))]
-        while len(parts) > 1:
+        while len(parts) > until:
             best, at = min((self.ranks.get(parts[i] + parts[i + 1], 1 << 60), i) for i in range(len(parts) - 1))
             if best == 1 << 60:
                 break
             parts[at : at + 2] = [parts[at] + parts[at + 1]]
         return parts
 
+    def halves(self, token: bytes) -> tuple[bytes, bytes] | None:
+        """The two parts whose merge makes the token; None for a single byte."""
+        if token not in self.split:
+            self.split[token] = tuple(self.merged(token, 2)) if len(token) > 1 else None
+        return self.split[token]
+
     def stands(self, token: bytes) -> bool:
-        if token in self.whole:
-            return True
-        if token in self.broken:
-            return False
-        good = self.merged(token) == [token]
-        (self.whole if good else self.broken).add(token)
+        """Whether a token's bytes encode to that token."""
+        good = self.sound.get(token)
+        if good is None:
+            good = self.sound[token] = self.merged(token) == [token]
         return good
 
     def follows(self, last: bytes, token: bytes) -> bool:
-        """Whether last and token side by side stay as they are."""
+        """Whether last and token side by side stay as they are.
+
+        Undoes the merges next to the border, latest first. They stay if no pair of parts that ever met at the border
+        would have merged before the parts grew on.
+        """
         key = (last, token)
         good = self.pairs.get(key)
-        if good is None:
-            if len(self.pairs) >= self.kept:
-                self.pairs.clear()
-            good = self.pairs[key] = self.merged(last + token) == [last, token]
+        if good is not None:
+            return good
+        if len(self.pairs) >= self.kept:
+            self.pairs.clear()
+        ranks, a, b, good = self.ranks, last, token, True
+        before, tie = 1 << 60, True  # the merge that was undone last; a tie of ranks goes to the left place
+        while True:
+            across = ranks.get(a + b)
+            if across is not None and (across < before or across == before and tie):
+                good = False
+                break
+            left, right = self.halves(a), self.halves(b)
+            if left is None and right is None:
+                break
+            if right is None or left is not None and ranks[a] > ranks[b]:
+                before, tie, a = ranks[a], False, left[1]
+            else:
+                before, tie, b = ranks[b], True, right[0]
+        self.pairs[key] = good
         return good
 
     def extend(self, data: bytes, table: list[bytes]) -> list[bytes]:
         """Goes on with the table of last tokens until it covers all prefixes of data; table[i] ends prefix i + 1."""
-        ranks, longest, stands, follows = self.ranks, self.longest, self.stands, self.follows
+        ranks, longest, stands, follows, pairs = self.ranks, self.longest, self.stands, self.follows, self.pairs
         for end in range(len(table) + 1, len(data) + 1):
             for start in range(max(0, end - longest), end):
                 token = data[start:end]
-                if token in ranks and (follows(table[start - 1], token) if start else stands(token)):
-                    table.append(token)
-                    break
+                if token in ranks:
+                    if not start:
+                        good = stands(token)
+                    elif (good := pairs.get((table[start - 1], token))) is None:
+                        good = follows(table[start - 1], token)
+                    if good:
+                        table.append(token)
+                        break
             else:
                 raise ValueError(f"no token ends {data[:end]!r}")
         return table
@@ -87,10 +117,26 @@ class PrefixEncoder:
             at -= len(table[at - 1])
         return out[::-1]
 
+    def table_of(self, data: bytes) -> list[bytes]:
+        """The table of data; short prefixes, which many pre-tokens share, are looked up."""
+        tails, table = self.tails, []
+        for end in range(1, min(len(data), self.shared) + 1):
+            last = tails.get(data[:end])
+            if last is None:
+                break
+            table.append(last)
+        known = len(table)
+        self.extend(data, table)
+        if len(tails) >= self.kept:
+            tails.clear()
+        for end in range(known + 1, min(len(data), self.shared) + 1):
+            tails[data[:end]] = table[end - 1]
+        return table
+
     def encode_piece(self, data: bytes) -> list[int]:
         if data in self.ranks and self.stands(data):
             return [self.ranks[data]]
-        return self.read(self.extend(data, []))
+        return self.read(self.table_of(data))
 
     def decode(self, ids: list[int]) -> bytes:
         return b"".join(self.bytes_of[i] for i in ids)
