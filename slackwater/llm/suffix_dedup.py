@@ -12,7 +12,7 @@
 
 Windows never cross documents. Names are 96 bits: the chance that any two different phrases of 100 TB share one is
 below one in ten thousand. A shard works in blocks of bounded bytes; an anchor whose phrases exceed a block is split by
-the place of the anchor in the window, which equal windows share.
+the bytes around it, which equal windows share.
 
 Rows: a null text is empty (and comes back empty); rows equal in doc_id and text count as one document and share its result; rows with one
 doc_id and different texts are ordered by a hash of the text; null doc_ids come first; an empty table gives no rows.
@@ -228,6 +228,8 @@ class RunLengthIndex:
     """
 
     def __init__(self, data: np.ndarray, offsets: np.ndarray, length: int):
+        if length < 7:
+            raise ValueError("length is 7 or more")
         self.length, self.size = length, np.diff(offsets)
         m, self.width = len(self.size), int(self.size.max(initial=0)) + 1
         text = np.zeros((m, self.width + 7), np.uint16)
@@ -236,12 +238,13 @@ class RunLengthIndex:
         key = np.zeros((m, self.width), np.uint64)
         for j in range(7):
             key = key << np.uint64(9) | text[:, j : j + self.width]
-        places = np.flatnonzero(np.concatenate([inside, np.zeros((m, 0), bool)], axis=1).ravel())
-        rank, depth, equal, values = np.zeros((m, self.width), np.int64), 7, None, key.ravel()[places]
+        places = np.flatnonzero(inside.ravel())
+        rank, depth, equal, values = np.zeros((m, self.width), np.uint32), 7, None, key.ravel()[places]
+        del key
         while True:
-            order = np.argsort(values, kind="stable")
+            order = np.argsort(values)
             ordered = values[order]
-            number = np.cumsum(np.concatenate([[1], ordered[1:] != ordered[:-1]])) if len(order) else np.zeros(0, np.int64)
+            number = np.cumsum(np.concatenate([[1], ordered[1:] != ordered[:-1]]), dtype=np.uint32) if len(order) else np.zeros(0, np.uint32)
             rank.ravel()[places[order]] = number
             if 2 * depth > length > depth or depth == length:  # two overlapping runs of `depth` bytes make one of `length`
                 equal = self._pair(rank, length - depth).ravel()
@@ -250,6 +253,8 @@ class RunLengthIndex:
                     equal = rank.astype(np.uint64).ravel()
                 break
             values, depth = self._pair(rank, depth).ravel()[places], 2 * depth
+        # equal ends are in the order of their phrases
+        order = np.argsort(rank.ravel()[places].astype(np.uint64) << np.uint64(32) | np.arange(len(places), dtype=np.uint64))
         ends = np.arange(m) * self.width + self.size  # the empty suffixes, in the order of phrases, come first
         rows = np.concatenate([ends, places[order]])
         before = text[:, : self.width].ravel()[rows - 1]
@@ -278,21 +283,20 @@ class RunLengthIndex:
             key[:, : self.width - shift] |= rank[:, shift:].astype(np.uint64)
         return key
 
-    def back(self, row: np.ndarray) -> np.ndarray:
-        """The rows of the suffixes that are one byte longer (LF)."""
-        return row + self.step[np.searchsorted(self.begins, row, side="right") - 1]
-
     def stream(self) -> tuple[np.ndarray, np.ndarray]:
         """Phrase and offset of every place from which `length` bytes match an earlier place."""
         row, out = np.arange(len(self.size)), []
         alive = np.arange(len(self.size))
+        # every row is visited once: what its run and its interval say is spelled out by row for the time of the stream
+        back = np.repeat(self.step, np.diff(np.append(self.begins, self.rows)))
+        earliest = np.repeat(self.earliest, np.diff(np.append(self.cuts, self.rows)))
         for step in range(1, self.width):
             keep = self.size[alive] >= step
-            alive, row = alive[keep], self.back(row[keep])
+            alive, row = alive[keep], row[keep]
+            row = row + back[row]
             if step >= self.length:
                 here = alive * self.width + self.size[alive] - step
-                first = self.earliest[np.searchsorted(self.cuts, row, side="right") - 1]
-                out.append(here[first < here])
+                out.append(here[earliest[row] < here])
         found = np.sort(np.concatenate(out)) if out else np.zeros(0, np.int64)
         return found // self.width, found % self.width
 
@@ -313,29 +317,61 @@ class RunLengthIndex:
 
 
 def index_blocks(rows: Rows, data: np.ndarray, offsets: np.ndarray, length: int, most: int) -> Iterator[tuple[Rows, np.ndarray, np.ndarray]]:
-    """Blocks of whole anchors up to `most` bytes. rows are sorted by key, document and start."""
+    """Blocks of up to `most` bytes that hold all phrases of their anchors. rows are sorted by key, document and start.
+
+    An anchor with more than that is split. All its windows hold the anchor; those with much room before it also share
+    what stands there with their equals, the others what stands after it: so windows are dealt by a hash of those
+    bytes, which makes a longer anchor, until a part fits or nothing is left to tell windows apart.
+    """
+    held: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []  # rows, first window, windows
+    size = 0
 
-    def cut(at: np.ndarray, lo: np.ndarray, n: np.ndarray) -> tuple[Rows, np.ndarray, np.ndarray]:
-        size = n + length - 1
+    def bytes_in(n: np.ndarray) -> int:
+        return int((n + length - 1).sum())
+
+    def cut() -> tuple[Rows, np.ndarray, np.ndarray]:
+        at, lo, n = (np.concatenate(x) for x in zip(*held, strict=True))
         begin = offsets[at] + lo
         part = rows.of(at)
         part.start, part.n = part.start + lo, n
-        return part, data[ranges(begin, begin + size)], np.concatenate([[0], np.cumsum(size)])
+        return part, data[ranges(begin, begin + n + length - 1)], np.concatenate([[0], np.cumsum(n + length - 1)])
+
+    def split(at: np.ndarray, lo: np.ndarray, n: np.ndarray, before: int, after: int) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+        """before, after: how far the common bytes reach around the start of the anchor."""
+        room = length - before - after
+        if bytes_in(n) <= most:
+            yield at, lo, n
+        elif room <= 0:  # all windows are equal: any two at a time will do, the first among them
+            step = max(1, most // length - 1)
+            for i in range(1, len(at), step):
+                pick = np.concatenate([[0], np.arange(i, min(len(at), i + step))])
+                yield at[pick], lo[pick], n[pick]
+        else:
+            left = (room + 1) // 2
+            # windows that start at least before + left bytes ahead of the anchor
+            ahead = np.clip(rows.off[at] - before - left - lo + 1, 0, n)
+            for first, count, reach, take, new in ((lo, ahead, -before - left, left, (before + left, after)), (lo + ahead, n - ahead, after, room - left + 1, (before, after + room - left + 1))):
+                has = count > 0
+                if not has.any():
+                    continue
+                a, f, c = at[has], first[has], count[has]
+                begin = offsets[a] + rows.off[a] + reach
+                tell = data[begin[:, None] + np.arange(take)].astype(np.uint64) @ _BYTES[:take]
+                order = np.argsort(tell, kind="stable")
+                for part in np.split(order, np.flatnonzero(np.diff(tell[order])) + 1):
+                    yield from split(a[part], f[part], c[part], *new)
 
     edges = np.concatenate([[0], np.flatnonzero(rows.key[1:] != rows.key[:-1]) + 1, [len(rows)]])
-    i = 0
-    while i + 1 < len(edges):
-        j = max(i + 1, int(np.searchsorted(offsets[edges], offsets[edges[i]] + most, side="right")) - 1)
-        at = np.arange(edges[i], edges[j])
-        if offsets[edges[j]] - offsets[edges[i]] <= most:
-            yield cut(at, np.zeros(len(at), np.int64), rows.n[at])
-        else:  # one anchor with very many phrases: windows with the anchor at one place, place by place
-            for place in range(length - GRAM + 1):
-                lo = rows.off[at] - place
-                has = (lo >= 0) & (lo < rows.n[at])
-                if has.any():
-                    yield cut(at[has], lo[has], np.ones(has.sum(), np.int64))
-        i = j
+    for i, j in zip(edges[:-1].tolist(), edges[1:].tolist(), strict=True):
+        at = np.arange(i, j)
+        for part in split(at, np.zeros(len(at), np.int64), rows.n[at], 0, GRAM):
+            if held and size + bytes_in(part[2]) > most:
+                yield cut()
+                held, size = [], 0
+            held.append(part)
+            size += bytes_in(part[2])
+    if held:
+        yield cut()
 
 
 MARKS = "doc long, tie long, start long, n long"
@@ -397,10 +433,10 @@ def keyed(docs: DataFrame) -> DataFrame:
 def repeats(docs: DataFrame, length: int = 100) -> DataFrame:
     """keyed(docs) with marked: the (start, n) of the windows of each text that match an earlier place, or null."""
     texts = keyed(docs)
-    narrow = texts.select("doc", "tie", "text")
-    notes = scratch(narrow.mapInArrow(find_phrases(length), DEALT).repartition("key").mapInArrow(settle, NOTES))
+    notes = scratch(texts.select("doc", "tie", "text").mapInArrow(find_phrases(length), DEALT).repartition("key").mapInArrow(settle, NOTES))
     asked = notes.filter("key is not null").groupBy("doc", "tie").agg(F.collect_list(F.struct("start", "n", "off", "key")).alias("asked"))
-    found = narrow.join(asked, ["doc", "tie"]).select("doc", "tie", "text", "asked")
+    # doc_id goes along so that both joins deal out the same rows, and Spark does it once
+    found = texts.select("doc_id", "text", "doc", "tie").join(asked, ["doc", "tie"]).select("doc", "tie", "text", "asked", "doc_id")
     found = found.mapInArrow(take_bytes(length), ASKED).repartition("key").mapInArrow(match(length), MARKS)
     marks = notes.filter("key is null").select("doc", "tie", "start", "n").unionByName(found)
     marks = marks.groupBy("doc", "tie").agg(F.collect_list(F.struct("start", "n")).alias("marked"))
