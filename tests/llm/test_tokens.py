@@ -12,7 +12,7 @@ from slackwater.llm import binary_output, packing, prefix_bpe
 from slackwater.llm.common import rank_encoding, ranks_of
 
 RANKS = P.path("byte_bpe_50k.tiktoken")
-ODD = ["", None, " ", "a", "héllo wörld", "x" * 5000, "don't   stop\n\n\n now", "日本語 テキスト", "\u0085  ", "🙂" * 40, "the cat " * 900, "tab\tnew\x0bline\x0c"]
+ODD = ["", None, " ", "a", "héllo wörld", "x" * 5000, "don't   stop\n\n\n now", "日本語 テキスト", "\u0085  ", "🙂" * 40, "the cat " * 900, "tab\tnew\x0bline\x0c", "a<|endoftext|> b"]
 
 
 def docs(spark, texts, schema="doc_id long, text string, lang string, ids string, sequence_id long"):
@@ -23,7 +23,9 @@ def docs(spark, texts, schema="doc_id long, text string, lang string, ids string
 def library():
     from tokenizers import Tokenizer
 
-    return Tokenizer.from_file(P.path("byte_bpe_50k.json"))
+    tokenizer = Tokenizer.from_file(P.path("byte_bpe_50k.json"))
+    tokenizer.encode_special_tokens = True  # such strings are ordinary text
+    return tokenizer
 
 
 @pytest.fixture(scope="module")
