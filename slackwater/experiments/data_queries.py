@@ -5,12 +5,14 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..baselines.microbatch import micro_batch
 from ..functions import law
 from ..operators import relational
 from ..run.late import late_join, naive_join
-from ..run.repository import IncrementalQuery, run_batched
-from ..sources.tables import ad_map, last_key, late_lines, slotted, table
+from ..run.repository import IncrementalQuery, run_batch, run_batched
+from ..sources.tables import ad_map, last_key, late_lines, slot_range, slotted, table
 from ..workloads.catalog import WORKLOADS, ad_rows, q12_counts
+from ..workloads.oracles import ORACLES as WORKLOAD_ORACLES
 
 N_SLOTS = 120
 QUERIES: dict = {}
@@ -359,3 +361,29 @@ def intermittent_stream(spark, sf_dir):
     from ..streaming.views import intermittent_counts
 
     return intermittent_counts(spark, table(spark, sf_dir, "orders"), 4)
+
+
+@registered(WORKLOAD_ORACLES["ad_views"])
+def micro_batch_ads(spark, sf_dir):
+    """Ad views by the streaming baseline."""
+    return micro_batch(spark, sf_dir, WORKLOADS["ad_views"])[0]
+
+
+@registered(WORKLOAD_ORACLES["tpch_q6"])
+def micro_batch_q6(spark, sf_dir):
+    return micro_batch(spark, sf_dir, WORKLOADS["tpch_q6"])[0]
+
+
+@registered()
+def state_sizes(spark, sf_dir):
+    """Rows and the share of input rows that the states of four batches have, by workload."""
+    rows = []
+    last = last_key(spark, sf_dir, "lineitem")
+    for name in ("tpch_q1", "tpch_q3", "custom_2", "custom_3"):
+        q = WORKLOADS[name]
+        for b, (lo, hi) in enumerate(((0, 30), (30, 60), (60, 90), (90, N_SLOTS)), 1):
+            n = run_batch(spark, sf_dir, q, lo, hi, N_SLOTS, last).count()
+            read = slot_range(table(spark, sf_dir, "lineitem"), "l_orderkey", lo, hi, N_SLOTS, last).count()
+            rows.append((name, b, n, n / max(1, read)))
+    return spark.createDataFrame(rows, "query_id string, batch_no int, n_rows long, share double")
+
