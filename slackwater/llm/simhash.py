@@ -72,70 +72,88 @@ def ranges(lo: np.ndarray, hi: np.ndarray) -> np.ndarray:
     return np.arange(n.sum()) + np.repeat(lo - np.concatenate([[0], np.cumsum(n)[:-1]]), n)
 
 
-def node_pairs(a: np.ndarray, b: np.ndarray, budget: int, leaf: int = LEAF) -> np.ndarray:
-    """Pairs of small nodes (from, to in a; from, to in b) of two sorted tries whose bits so far differ within budget."""
-    front = np.array([[0, len(a), 0, len(b), 0]])
-    done = []
-    for depth in range(65):
-        if not len(front):
-            break
+def node_pairs(a: np.ndarray, b: np.ndarray, budget: int, leaf: int = LEAF, most: int = 1 << 18) -> Iterator[np.ndarray]:
+    """Pairs of small nodes (from, to in a; from, to in b) of two sorted tries whose bits so far differ within budget.
+
+    Pairs go down together, `most` at a time, deepest first, so that few are held at once.
+    """
+
+    def middle(x: np.ndarray, lo: np.ndarray, hi: np.ndarray, bit: np.uint64) -> np.ndarray:
+        top = (x[lo] >> bit | np.uint64(1)) << bit  # the first value of the right child
+        return np.clip(np.searchsorted(x, top), lo, hi)
+
+    stack = [(0, np.array([[0, len(a), 0, len(b), 0]]))]
+    while stack:
+        depth, front = stack.pop()
+        if len(front) > most:
+            stack += [(depth, front[: len(front) // 2]), (depth, front[len(front) // 2 :])]
+            continue
         small = (front[:, 1] - front[:, 0] <= leaf) & (front[:, 3] - front[:, 2] <= leaf) if depth < 64 else np.ones(len(front), bool)
-        done.append(front[small, :4])
-        front = front[~small]
-        if depth == 64 or not len(front):
-            break
+        if small.any():
+            yield front[small, :4]
+        alo, ahi, blo, bhi, off = front[~small].T
+        if not len(alo):
+            continue
         bit = np.uint64(63 - depth)
-
-        def middle(x: np.ndarray, lo: np.ndarray, hi: np.ndarray, bit=bit) -> np.ndarray:
-            top = (x[lo] >> bit | np.uint64(1)) << bit  # the first value of the right child
-            return np.clip(np.searchsorted(x, top), lo, hi)
-
-        alo, ahi, blo, bhi, off = front.T
-        am, bm = middle(a, alo, ahi), middle(b, blo, bhi)
+        am, bm = middle(a, alo, ahi, bit), middle(b, blo, bhi, bit)
         front = np.concatenate([np.stack(x, axis=1) for x in ((alo, am, blo, bm, off), (am, ahi, bm, bhi, off), (alo, am, bm, bhi, off + 1), (am, ahi, blo, bm, off + 1))])
         front = front[(front[:, 0] < front[:, 1]) & (front[:, 2] < front[:, 3]) & (front[:, 4] <= budget)]
-    return np.concatenate(done) if done else np.zeros((0, 4), int)
+        if len(front):
+            stack.append((depth + 1, front))
 
 
-def close_links(a: np.ndarray, b: np.ndarray | None, budget: int) -> tuple[np.ndarray, np.ndarray]:
-    """A spanning forest of the links within budget between two sorted arrays, or inside a if b is None."""
+def close_links(a: np.ndarray, b: np.ndarray | None, budget: int, most: int = 1 << 21) -> tuple[np.ndarray, np.ndarray]:
+    """A spanning forest of the links within budget between two sorted arrays, or inside a if b is None. Whenever more
+    than `most` links are held, they shrink to a forest."""
     other = a if b is None else b
+    every = a if b is None else np.concatenate([a, b])
     shift = 0 if b is None else len(a)
-    u, v = [], []
-    pairs = node_pairs(a, other, budget)
-    if b is None:
-        pairs = pairs[pairs[:, 0] <= pairs[:, 2]]
-    pairs = pairs[np.lexsort((pairs[:, 1], pairs[:, 0]))]
-    cuts = np.flatnonzero(np.any(np.diff(pairs[:, :2], axis=0) != 0, axis=1)) + 1
-    for group in np.split(pairs, cuts) if len(pairs) else []:
-        lo, hi = group[0, :2]
-        for part in range(0, len(group), 1024):
-            at = ranges(group[part : part + 1024, 2], group[part : part + 1024, 3])
-            i, j = np.nonzero(np.bitwise_count(a[lo:hi, None] ^ other[at][None, :]) <= budget)
-            i, j = i + lo, at[j] + shift
-            keep = i != j
-            i, j = i[keep], j[keep]
-            if len(i) > 4 * (hi - lo):  # many links: a forest of them is enough
-                nodes, k = np.unique(np.concatenate([i, j]), return_inverse=True)
-                label = labels_of(k[: len(i)], k[len(i) :], len(nodes))
-                i, j = nodes[label], nodes
-                i, j = i[i != j], j[i != j]
-            u.append(i)
-            v.append(j)
+    u, v, held = [], [], 0
+
+    def forest() -> tuple[np.ndarray, np.ndarray]:
+        label = labels_of(np.concatenate(u), np.concatenate(v), len(every))
+        at = np.flatnonzero(label != np.arange(len(every)))
+        return label[at], at
+
+    for pairs in node_pairs(a, other, budget):
+        if b is None:
+            pairs = pairs[pairs[:, 0] <= pairs[:, 2]]
+        pairs = pairs[np.lexsort((pairs[:, 1], pairs[:, 0]))]
+        cuts = np.flatnonzero(np.any(np.diff(pairs[:, :2], axis=0) != 0, axis=1)) + 1
+        for group in np.split(pairs, cuts) if len(pairs) else []:
+            lo, hi = group[0, :2]
+            for part in range(0, len(group), 1024):
+                at = ranges(group[part : part + 1024, 2], group[part : part + 1024, 3])
+                i, j = np.nonzero(np.bitwise_count(a[lo:hi, None] ^ other[at][None, :]) <= budget)
+                i, j = i + lo, at[j] + shift
+                keep = i != j
+                i, j = i[keep], j[keep]
+                if len(i) > 4 * (hi - lo):  # many links: a forest of them is enough
+                    nodes, k = np.unique(np.concatenate([i, j]), return_inverse=True)
+                    label = labels_of(k[: len(i)], k[len(i) :], len(nodes))
+                    i, j = nodes[label], nodes
+                    i, j = i[i != j], j[i != j]
+                u.append(i)
+                v.append(j)
+                held += len(i)
+        if held > most:
+            x, y = forest()
+            u, v, held = [x], [y], len(x)
     if not u:
         return np.zeros(0, np.uint64), np.zeros(0, np.uint64)
-    u, v = np.concatenate(u), np.concatenate(v)
-    every = a if b is None else np.concatenate([a, b])
-    label = labels_of(u, v, len(every))
-    at = np.flatnonzero(label != np.arange(len(every)))
-    return every[label[at]], every[at]
+    x, y = forest()
+    return every[x], every[y]
+
 
+def links(nodes: DataFrame, budget: int = 4, least: int = 8192, aim: int = 1 << 17, most_ranges: int = 4096) -> DataFrame:
+    """Links (u, v) that join all fingerprints (the column bits, distinct) within budget of one another.
 
-def links(nodes: DataFrame, budget: int = 4, least: int = 8192, most_ranges: int = 4096) -> DataFrame:
-    """Links (u, v) that join all fingerprints (the column bits, distinct) within budget of one another."""
+    Every range meets most others, so what is dealt out grows with the number of ranges: there are up to 32 of `least`
+    fingerprints for the sake of small inputs, more only of `aim`, and most_ranges in all.
+    """
     spark = nodes.sparkSession
     n = nodes.count()
-    count = max(1, min(most_ranges, n // least))
+    count = max(1, min(32, n // least), min(most_ranges, n // aim))
     cuts = np.array(sorted(set(nodes.agg(F.percentile_approx("bits", [k / count for k in range(1, count)], 10 * count)).first()[0] or [])) if count > 1 else [], dtype=np.int64)
 
     def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -158,7 +176,7 @@ def links(nodes: DataFrame, budget: int = 4, least: int = 8192, most_ranges: int
     differ = np.where(left > 0, np.bitwise_count((lo[i] ^ lo[j]) >> np.minimum(64 - left, 63).astype(np.uint64)), 0)
     near = differ <= budget
     k = bounds["k"].to_numpy()
-    pairs = spark.createDataFrame(list(zip(k[i[near]].tolist(), k[j[near]].tolist(), strict=True)), "k int, l int")
+    pairs = spark.createDataFrame(pa.table({"k": pa.array(k[i[near]], pa.int32()), "l": pa.array(k[j[near]], pa.int32())}))
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
