@@ -4,6 +4,8 @@
    anchors at equal places. Consecutive windows of one anchor form a phrase; its content and place make a name. Phrases
    of one name are equal in full: only the first in the order of documents can hold anything new. Tasks drop their own
    repeats before rows are dealt out by anchor, so a passage in a third of all documents is one row from each task.
+   Anchors that a sample shows in many different phrases (the edge of such a passage) give their windows one by one,
+   dealt out by all their bytes: those that meet are equal.
 2. Indexes. Where one anchor has phrases of several names, the first phrase of each name is sent to the shard of its
    anchor. A shard builds the run-compressed Burrows-Wheeler transform of its phrases with samples at the ends of the
    runs, streams every phrase through it backward by LF steps, and reads the matching statistics: whether the window at
@@ -62,8 +64,12 @@ def window_least(x: np.ndarray, width: int) -> np.ndarray:
     return x if size == width else np.minimum(x[: len(x) - (width - size)], x[width - size :])
 
 
-def phrases(data: np.ndarray, offsets: np.ndarray, length: int) -> tuple[np.ndarray, ...]:
-    """Of texts laid end to end: text number, start in it, windows, place of the anchor, anchor hash and name."""
+def phrases(data: np.ndarray, offsets: np.ndarray, length: int, hot: np.ndarray | None = None) -> tuple[np.ndarray, ...]:
+    """Of texts laid end to end: text number, start in it, windows, place of the anchor, anchor hash and name.
+
+    hot: sorted anchor hashes. Their windows come one by one, with a hash of the whole window in the place of the
+    anchor's, so that only equal windows meet.
+    """
     none = tuple(np.zeros(0, np.int64) for _ in range(4)) + (np.zeros(0, np.uint64), np.zeros(0, np.uint32))
     counts = np.maximum(np.diff(offsets) - length + 1, 0)
     if not counts.sum():
@@ -81,8 +87,17 @@ def phrases(data: np.ndarray, offsets: np.ndarray, length: int) -> tuple[np.ndar
     name = h64[a] * _ODD[0] + h64[a + (size - 64) // 2] * _ODD[1] + h64[a + size - 64] * _ODD[2] + n.astype(np.uint64) * _ODD[3] + (q - a).astype(np.uint64) * _ODD[4]
     name ^= name >> np.uint64(32)
     name *= _ODD[2]
+    off, key, name = q - a, h32[q], (name >> np.uint64(32)).astype(np.uint32)
+    if hot is not None and len(hot):
+        warm = hot[np.minimum(np.searchsorted(hot, key), len(hot) - 1)] == key
+        each = ranges(a[warm], a[warm] + n[warm])
+        x, y = h64[each], h64[each + length - 64]
+        w1, w2 = x * _ODD[3] + y * _ODD[4], x * _ODD[1] + y * _ODD[2]
+        w1, w2 = (w1 ^ w1 >> np.uint64(29)) * _ODD[0], (w2 ^ w2 >> np.uint64(31)) * _ODD[3]
+        whole = np.ones(len(each), np.int64)
+        a, n, off, key, name = (np.concatenate([c[~warm], d]) for c, d in zip((a, n, off, key, name), (each, whole, 0 * whole, w1 ^ w1 >> np.uint64(32), (w2 >> np.uint64(32)).astype(np.uint32)), strict=True))
     text = np.searchsorted(offsets, a, side="right") - 1
-    return text, a - offsets[text], n, q - a, h32[q], (name >> np.uint64(32)).astype(np.uint32)
+    return text, a - offsets[text], n, off, key, name
 
 
 def fill(names: list[str], kinds: list[pa.DataType], columns: list) -> pa.RecordBatch:
@@ -132,7 +147,7 @@ def spans(doc: np.ndarray, tie: np.ndarray, start: np.ndarray, n: np.ndarray) ->
     return doc[first], tie[first], start[first], np.add.reduceat(n, first) if len(first) else n
 
 
-def find_phrases(length: int, block: int = 1 << 18, most: int = 1 << 22, held: int = 400_000):
+def find_phrases(length: int, hot: np.ndarray | None = None, block: int = 1 << 18, most: int = 1 << 22, held: int = 400_000):
     """Rows of DEALT for a partition of (doc, tie, text): its phrases without its own repeats, and marks for those.
 
     A mark has an odd `at`; its key is any number, so that marks are dealt out evenly.
@@ -167,7 +182,7 @@ def find_phrases(length: int, block: int = 1 << 18, most: int = 1 << 22, held: i
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         parts, count = [], 0
         for doc, tie, data, offsets, shift in blocks(batches):
-            text, start, n, off, key, name = phrases(data, offsets, length)
+            text, start, n, off, key, name = phrases(data, offsets, length, hot)
             if len(text):
                 parts.append(Rows(key, name, doc[text], tie[text], start + shift, n, off))
                 count += len(text)
@@ -430,10 +445,22 @@ def keyed(docs: DataFrame) -> DataFrame:
     return docs.withColumns({"doc": F.coalesce("doc_id", F.lit(FIRST)).cast("long"), "tie": F.xxhash64(text).bitwiseAND(0xFFFFFFFF), "text": text})
 
 
+def hot_anchors(texts: DataFrame, length: int, every: int = 64, least: int = 8, most: int = 10_000) -> np.ndarray:
+    """The anchors, `most` at most, that have `least` different phrases or more among one in `every` of the texts. They
+    are dealt out in another way, with the same results: which they are is a matter of balance alone."""
+    some = texts.filter(F.pmod(F.xxhash64("tie", "doc"), F.lit(every)) == 0).mapInArrow(find_phrases(length), DEALT).filter("at % 2 = 0")
+    names = some.groupBy("key").agg(F.countDistinct(F.shiftrightunsigned("name", 32)).alias("n")).filter(F.col("n") >= least)
+    rows = names.orderBy(F.desc("n"), "key").limit(most).select("key").collect()
+    return np.sort(np.array([r["key"] for r in rows], np.int64).view(np.uint64))
+
+
 def repeats(docs: DataFrame, length: int = 100) -> DataFrame:
     """keyed(docs) with marked: the (start, n) of the windows of each text that match an earlier place, or null."""
+    if not 64 <= length <= 112:
+        raise ValueError("length is from 64 to 112: three grams of 64 bytes must cover a phrase")
     texts = keyed(docs)
-    notes = scratch(texts.select("doc", "tie", "text").mapInArrow(find_phrases(length), DEALT).repartition("key").mapInArrow(settle, NOTES))
+    narrow = texts.select("doc", "tie", "text")
+    notes = scratch(narrow.mapInArrow(find_phrases(length, hot_anchors(narrow, length)), DEALT).repartition("key").mapInArrow(settle, NOTES))
     asked = notes.filter("key is not null").groupBy("doc", "tie").agg(F.collect_list(F.struct("start", "n", "off", "key")).alias("asked"))
     # doc_id goes along so that both joins deal out the same rows, and Spark does it once
     found = texts.select("doc_id", "text", "doc", "tie").join(asked, ["doc", "tie"]).select("doc", "tie", "text", "asked", "doc_id")

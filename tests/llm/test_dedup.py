@@ -55,6 +55,27 @@ def test_suffix_dedup_keeps_other_columns_and_equal_rows(spark):
     assert suffix_dedup.dedup(table(spark, rows).filter("false")).count() == 0
 
 
+def test_hot_anchors_change_nothing(spark, monkeypatch):
+    rnd = random.Random(11)
+    passage = "".join(rnd.choice("abcdefgh ") for _ in range(150))
+    rows = [(i, "".join(rnd.choice("xyz ") for _ in range(rnd.randint(30, 120))) + passage + "".join(rnd.choice("uvw ") for _ in range(rnd.randint(0, 90)))) for i in range(200)]
+    docs = table(spark, rows).repartition(6)
+    hot = suffix_dedup.hot_anchors(suffix_dedup.keyed(docs).select("doc", "tie", "text"), 100, every=2)
+    assert len(hot) > 0
+    made = docs.select("doc_id", "text")
+    whole = suffix_dedup.hot_anchors
+    for every in (2, 64):
+        monkeypatch.setattr(suffix_dedup, "hot_anchors", lambda texts, length, every=every: whole(texts, length, every))
+        found = suffix_dedup.dedup(made)
+        assert {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in found.collect()} == plain_suffix(rows)
+
+
+def test_lengths_that_names_cannot_cover(spark):
+    for length in (63, 113):
+        with pytest.raises(ValueError):
+            suffix_dedup.dedup(table(spark, [(1, "x")]), length=length)
+
+
 @pytest.mark.parametrize("most", [300, 2000, 1 << 20])
 def test_index_blocks_split_hot_anchors(most):
     rnd = np.random.default_rng(7)
@@ -193,6 +214,9 @@ def test_trie_join_finds_all_links_of_clusters():
         return simhash.labels_of(i, j, len(x))
 
     assert (groups(a, *simhash.close_links(a, None, 4)) == all_pairs(a)).all()
+    assert (groups(a, *simhash.close_links(a, None, 4, most=50)) == all_pairs(a)).all()
+    whole, sliced = (sorted(map(tuple, np.concatenate(list(simhash.node_pairs(a, a, 4, 8, m))).tolist())) for m in (1 << 18, 3))
+    assert whole == sliced
     both = np.unique(np.concatenate([a, b]))
     links = [simhash.close_links(a, None, 4), simhash.close_links(b, None, 4), simhash.close_links(a, b, 4)]
     assert (groups(both, *(np.concatenate(x) for x in zip(*links))) == all_pairs(both)).all()
@@ -203,8 +227,8 @@ def test_many_ranges_give_the_same_components(spark):
     centres = rnd.integers(-(1 << 62), 1 << 62, 60)
     bits = np.unique(np.concatenate([centres ^ (np.int64(1) << rnd.integers(0, 63, 60)) for _ in range(6)]))
     nodes = spark.createDataFrame([(int(x),) for x in bits], "bits long")
-    for least in (10, 100, 10_000):
-        edges = simhash.links(nodes, 4, least=least)
+    for least, aim in ((10, 1 << 17), (100, 10), (10_000, 10_000)):
+        edges = simhash.links(nodes, 4, least=least, aim=aim)
         made = {r.node: r.root for r in simhash.components(edges).collect()}
         i, j = np.nonzero(np.bitwise_count(bits.view(np.uint64)[:, None] ^ bits.view(np.uint64)[None, :]) <= 4)
         label = simhash.labels_of(i, j, len(bits))
