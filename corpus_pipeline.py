@@ -14,29 +14,41 @@ from slackwater.llm.common import documents, scratch
 from slackwater.llm.queries import PATTERN, RANKS
 
 
+def apart(docs: DataFrame) -> DataFrame:
+    """docs with all columns but doc_id and text renamed, so that none clashes with what an operator adds."""
+    return docs.select(*(F.col(f"`{c}`").alias(c if c in ("doc_id", "text") else f"other_{i}") for i, c in enumerate(docs.columns)))
+
+
+def back(docs: DataFrame, made: DataFrame, text: str = "text") -> DataFrame:
+    """The columns of docs from what an operator made of apart(docs); the text is what is in the column `text`, and its
+    length goes with it."""
+
+    def column(i: int, name: str):
+        if name == "text":
+            return F.col(text)
+        if name == "n_chars" and text != "text":
+            return F.length(text).cast(docs.schema[name].dataType)
+        return F.col(name if name == "doc_id" else f"other_{i}")
+
+    return made.select(*(column(i, c).alias(c) for i, c in enumerate(docs.columns)))
+
+
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that are more likely toxic than not go."""
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
-    scored = toxicity.scored(docs, toxicity.fit(docs, labels))
-    return scored.filter("score < 0.5").select(*docs.columns)
-
-
-def with_text(docs: DataFrame, made: DataFrame) -> DataFrame:
-    """The columns of docs, with the text that a stage kept and its length."""
-    new = {"text": F.col("kept_text"), "n_chars": F.length("kept_text").cast("long")}
-    return made.withColumns({c: x for c, x in new.items() if c in docs.columns}).select(*docs.columns)
+    return back(docs, toxicity.scored(apart(docs), toxicity.fit(docs, labels)).filter("score < 0.5"))
 
 
 def drop_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return with_text(docs, line_dedup.dedup_lines(docs))
+    return back(docs, line_dedup.dedup_lines(apart(docs)), "kept_text")
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return simhash.keep_first(docs, words=5, budget=4)
+    return back(docs, simhash.keep_first(apart(docs), words=5, budget=4))
 
 
 def drop_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return with_text(docs, suffix_dedup.dedup(docs, length=100))
+    return back(docs, suffix_dedup.dedup(apart(docs), length=100), "kept_text")
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
