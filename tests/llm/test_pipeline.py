@@ -71,3 +71,29 @@ def test_run_equals_the_stages(stages, spark, sf):
     total = lambda rows: collections.Counter(r[0] for r in rows)
     a, b = key(corpus_pipeline.run(spark, sf)), key(stages[5])
     assert total(a).keys() == total(b).keys() and sum(r[2] for r in a) == sum(r[2] for r in b)
+
+
+ODD = "doc_id long, text string, lang string, source string, n_chars long, score string, kept_text string, `_key` int, gone string, marked int, `a.b` int"
+
+
+def odd_rows():
+    passage = " ".join(f"word{k}" for k in range(80))
+    texts = [None, "", " \n\n ", "one", passage, passage, passage + " end", "start " + passage, "x" * 60_000, "é" * 99, "line one here\nline two here\nlast", "zero\nline one here\nline two here"]
+    rows = [(i, t, None if i % 2 else "en", None, None, "s", "k", 1, "g", 2, 3) for i, t in enumerate(texts)]
+    return rows + [rows[5], (None, "no id at all", None, None, None, "s", "k", 1, "g", 2, 3), (None, None, None, None, None, None, None, None, None, None, None)]
+
+
+def test_stages_bear_odd_rows(spark, sf):
+    docs = spark.createDataFrame(odd_rows(), ODD)
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        made = stage(spark, docs, sf)
+        assert made.columns == docs.columns, name
+        rows = made.collect()
+        assert rows and {r.score for r in rows} <= {"s", None} and {r.kept_text for r in rows} <= {"k", None} and {r["a.b"] for r in rows} <= {3, None}
+        assert stage(spark, docs.filter("false"), sf).count() == 0
+    before = docs
+    for _, stage in corpus_pipeline.STAGES[:-1]:
+        docs = scratch(stage(spark, docs, sf))
+    assert 0 < docs.count() < before.count()
+    packed = corpus_pipeline.STAGES[-1][1](spark, docs, sf).collect()
+    assert {r.doc_id for r in packed} == {r.doc_id for r in docs.collect()}
