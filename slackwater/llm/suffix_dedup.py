@@ -332,7 +332,8 @@ class RunLengthIndex:
 
 
 def index_blocks(rows: Rows, data: np.ndarray, offsets: np.ndarray, length: int, most: int) -> Iterator[tuple[Rows, np.ndarray, np.ndarray]]:
-    """Blocks of up to `most` bytes that hold all phrases of their anchors. rows are sorted by key, document and start.
+    """Blocks of up to `most` bytes that hold all phrases of their anchors. rows are sorted by key, document and start;
+    offsets say where in data each begins.
 
     An anchor with more than that is split. All its windows hold the anchor; those with much room before it also share
     what stands there with their equals, the others what stands after it: so windows are dealt by a hash of those
@@ -405,11 +406,9 @@ def match(length: int, most: int = 1 << 21):
         same = [x[order][1:] == x[order][:-1] for x in (key, doc, tie, start)]
         order = order[np.concatenate([[True], ~np.logical_and.reduce(same)])]  # equal rows ask for the same bytes
         data, offsets = packed_bytes(table.column("bytes"))
-        size = np.diff(offsets)[order]
-        data = data[ranges(offsets[:-1][order], offsets[:-1][order] + size)]
         rows = Rows(key, key, doc, tie, start, n, off.astype(np.int64)).of(order)
         found = []
-        for part, bytes_, ends in index_blocks(rows, data, np.concatenate([[0], np.cumsum(size)]), length, most):
+        for part, bytes_, ends in index_blocks(rows, data, offsets[:-1][order], length, most):
             phrase, place = RunLengthIndex(bytes_, ends, length).stream()
             found.append((part.doc[phrase], part.tie[phrase], part.start[phrase] + place, np.ones(len(phrase), np.int64)))
         yield fill(["doc", "tie", "start", "n"], [pa.int64()] * 4, spans(*(np.concatenate(x) for x in zip(*found, strict=True))))
@@ -420,8 +419,8 @@ def match(length: int, most: int = 1 << 21):
 ASKED = "doc long, tie long, start long, n long, off int, key long, bytes binary"
 
 
-def take_bytes(length: int):
-    """The bytes of the phrases that a partition of (doc, tie, text, asked) is asked for."""
+def take_bytes(length: int, most: int = 1 << 21):
+    """The bytes of the phrases that a partition of (doc, tie, text, asked) is asked for, about `most` bytes at a time."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -431,10 +430,14 @@ def take_bytes(length: int):
             at = np.repeat(np.arange(batch.num_rows), np.diff(np.asarray(asked.offsets)))
             start, n, off, key = (flat.field(c).to_numpy() for c in range(4))
             begin, size = offsets[at] + start, n + length - 1
-            ends = np.concatenate([[0], np.cumsum(size)]).astype(np.int32)
-            chunk = pa.Array.from_buffers(pa.binary(), len(at), [None, pa.py_buffer(ends), pa.py_buffer(np.ascontiguousarray(data[ranges(begin, begin + size)]))])
             doc, tie = (batch.column(c).to_numpy()[at] for c in (0, 1))
-            yield fill(["doc", "tie", "start", "n", "off", "key"], [pa.int64()] * 4 + [pa.int32(), pa.int64()], [doc, tie, start, n, off, key]).append_column("bytes", chunk)
+            ends = np.concatenate([[0], np.cumsum(size)])
+            i = 0
+            while i < len(at):
+                j = max(i + 1, int(np.searchsorted(ends, ends[i] + most, side="right")) - 1)
+                chunk = pa.Array.from_buffers(pa.binary(), j - i, [None, pa.py_buffer((ends[i : j + 1] - ends[i]).astype(np.int32)), pa.py_buffer(np.ascontiguousarray(data[ranges(begin[i:j], begin[i:j] + size[i:j])]))])
+                yield fill(["doc", "tie", "start", "n", "off", "key"], [pa.int64()] * 4 + [pa.int32(), pa.int64()], [x[i:j] for x in (doc, tie, start, n, off, key)]).append_column("bytes", chunk)
+                i = j
 
     return run
 
