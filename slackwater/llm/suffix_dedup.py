@@ -147,7 +147,7 @@ def spans(doc: np.ndarray, tie: np.ndarray, start: np.ndarray, n: np.ndarray) ->
     return doc[first], tie[first], start[first], np.add.reduceat(n, first) if len(first) else n
 
 
-def find_phrases(length: int, hot: np.ndarray | None = None, block: int = 1 << 18, most: int = 1 << 22, held: int = 400_000):
+def find_phrases(length: int, hot: np.ndarray | None = None, block: int = 1 << 18, most: int = 1 << 22, held: int = 200_000):
     """Rows of DEALT for a partition of (doc, tie, text): its phrases without its own repeats, and marks for those.
 
     A mark has an odd `at`; its key is any number, so that marks are dealt out evenly.
@@ -393,7 +393,7 @@ def index_blocks(rows: Rows, data: np.ndarray, offsets: np.ndarray, length: int,
 MARKS = "doc long, tie long, start long, n long"
 
 
-def match(length: int, most: int = 1 << 21):
+def match(length: int, most: int = 1 << 20):
     """Marks for a partition of phrases with their bytes."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -419,7 +419,7 @@ def match(length: int, most: int = 1 << 21):
 ASKED = "doc long, tie long, start long, n long, off int, key long, bytes binary"
 
 
-def take_bytes(length: int, most: int = 1 << 21):
+def take_bytes(length: int, most: int = 1 << 20):
     """The bytes of the phrases that a partition of (doc, tie, text, asked) is asked for, about `most` bytes at a time."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
