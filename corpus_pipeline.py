@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from slackwater.llm import line_dedup, packing, simhash, suffix_dedup, toxicity
+from slackwater.llm import jaccard, line_dedup, packing, suffix_dedup, toxicity
 from slackwater.llm.common import documents, scratch
 from slackwater.llm.queries import PATTERN, RANKS
 
@@ -44,7 +44,7 @@ def drop_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return back(docs, simhash.keep_first(apart(docs), words=5, budget=4))
+    return back(docs, jaccard.keep_first(apart(docs), words=5, budget=4, least=80))
 
 
 def drop_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

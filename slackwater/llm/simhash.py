@@ -211,7 +211,12 @@ def components(edges: DataFrame) -> DataFrame:
 def groups(prints: DataFrame, budget: int = 4) -> DataFrame:
     """bits, root and component_id of every fingerprint in prints (doc_id, bits); a root is one group's own."""
     nodes = scratch(prints.groupBy("bits").agg(F.min("doc_id").alias("least")))
-    roots = components(links(nodes, budget))
+    return named_groups(nodes, links(nodes, budget))
+
+
+def named_groups(nodes: DataFrame, edges: DataFrame) -> DataFrame:
+    """bits, root and component_id of every node (bits, and its smallest doc_id, least) when edges (u, v) join them."""
+    roots = components(edges)
     named = scratch(nodes.join(roots, nodes["bits"] == roots["node"], "left").select("bits", "least", F.coalesce("root", "bits").alias("root")))
     group = scratch(named.groupBy("root").agg(F.min("least").alias("component_id")))
     return scratch(named.join(group, "root").select("bits", "root", "component_id"))
@@ -228,7 +233,13 @@ def keep_first(docs: DataFrame, words: int = 5, budget: int = 4, seed: int = 42)
     rows with that id, that of the smallest text hash. Columns stay as they are."""
     key = F.xxhash64(F.coalesce("text", F.lit("")))
     prints = scratch(fingerprints(docs, words, seed, [key.alias("key")]))
-    first = prints.join(groups(prints, budget), "bits").filter(F.col("doc_id").eqNullSafe(F.col("component_id")))
+    return first_rows(docs, prints, groups(prints, budget))
+
+
+def first_rows(docs: DataFrame, prints: DataFrame, named: DataFrame) -> DataFrame:
+    """The rows of docs that keep_first keeps, by prints (doc_id, key, bits) and the groups of bits."""
+    key = F.xxhash64(F.coalesce("text", F.lit("")))
+    first = prints.join(named, "bits").filter(F.col("doc_id").eqNullSafe(F.col("component_id")))
     first = scratch(first.groupBy("root", "doc_id").agg(F.min("key").alias("key")).select(F.col("doc_id").alias("first_id"), F.col("key").alias("first_key")))
     tagged = docs.withColumns({"_key": key, "_salt": F.monotonically_increasing_id()})
     stays = tagged.join(first, tagged["doc_id"].eqNullSafe(first["first_id"]) & (tagged["_key"] == first["first_key"])).select(*docs.columns, "_key", "_salt")

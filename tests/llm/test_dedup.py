@@ -246,3 +246,38 @@ def test_components_of_a_path(spark):
     edges = spark.createDataFrame([(k, k + 1) for k in range(60)] + [(200, 201)], "u long, v long").repartition(4)
     made = {r.node: r.root for r in simhash.components(edges).collect()}
     assert {made.get(k, k) for k in range(61)} == {0} and made[201] == 200
+
+
+def test_near_stage_drops_exactly_what_is_similar(spark):
+    import corpus_pipeline
+
+    rnd = random.Random(21)
+    words = ["w" + str(k) for k in range(400)]
+    texts, shared = [], [rnd.choice(words) for _ in range(40)]
+    for _ in range(30):
+        base = [rnd.choice(words) for _ in range(rnd.randint(3, 160))] + shared
+        for _ in range(rnd.randint(1, 4)):
+            copy = list(base)
+            for _ in range(rnd.randint(0, len(copy) // 25)):
+                copy[rnd.randrange(len(copy))] = rnd.choice(words)
+            texts.append(" ".join(copy))
+    hot = [rnd.choice(words) for _ in range(120)]
+    for _ in range(60):
+        texts.append(" ".join(rnd.choice(words) if rnd.random() < 0.012 else w for w in hot))
+    rows = list(enumerate([*texts, "", None, "one", "ONE", "one two"]))
+
+    def shingles(t):
+        w = (t or "").lower().split()
+        return {tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set()
+
+    sets, root, apart = [shingles(t) for _, t in rows], list(range(len(rows))), 0
+    for i in range(len(rows)):
+        for j in range(i):
+            if sets[i] == sets[j] or 10 * len(sets[i] & sets[j]) >= 8 * len(sets[i] | sets[j]):
+                apart += (plain_fingerprint(rows[i][1], 5) ^ plain_fingerprint(rows[j][1], 5)).bit_count() > 4
+                a, b = sorted((root[i], root[j]))
+                root = [a if r == b else r for r in root]
+    assert apart > 20
+    made = corpus_pipeline.drop_near_copies(spark, table(spark, rows).repartition(5), "")
+    assert sorted(r.doc_id for r in made.collect()) == sorted(set(root))
+    assert corpus_pipeline.drop_near_copies(spark, table(spark, rows).filter("false"), "").count() == 0
