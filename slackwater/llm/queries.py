@@ -27,6 +27,12 @@ def op3_line_suffix_array(spark: SparkSession, sf_dir: str) -> DataFrame:
     return df.select("doc_id", "n_lines", "n_removed", "longest_run", "kept_text")
 
 
+def op3_line_suffix_array_all_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """op3 without a floor: later copies of single lines go however short they are."""
+    df = line_dedup.dedup_lines(documents(spark, sf_dir, "doc_id", "text"), min_words=1)
+    return df.select("doc_id", "n_lines", "n_removed", "longest_run", "kept_text")
+
+
 def op4_subsequence_kernel_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
     return toxicity.judge(documents(spark, sf_dir), labels, limit=0.3)
@@ -58,10 +64,11 @@ def op10_binary_output(spark: SparkSession, sf_dir: str) -> DataFrame:
     return binary_output.matrices(documents(spark, sf_dir), RANKS, PATTERN)
 
 
-QUERIES = {f.__name__: f for f in (op1_cost_balanced_packing, op2_run_length_index, op3_line_suffix_array, op4_subsequence_kernel_toxicity, op5_maxscore_top_k, op6_distribution_divergence, op7_kd_tree_sharding, op8_prefix_bpe, op9_simhash_trie, op10_binary_output)}
+QUERIES = {f.__name__: f for f in (op1_cost_balanced_packing, op2_run_length_index, op3_line_suffix_array, op4_subsequence_kernel_toxicity, op5_maxscore_top_k, op6_distribution_divergence, op7_kd_tree_sharding, op8_prefix_bpe, op9_simhash_trie, op10_binary_output, op3_line_suffix_array_all_lines)}
 ORACLES: dict[str, str] = {
     "op2_run_length_index": oracles.RUN_LENGTH_INDEX,
     "op3_line_suffix_array": oracles.line_suffix_array(),
+    "op3_line_suffix_array_all_lines": oracles.line_suffix_array(min_words=1),
     "op5_maxscore_top_k": oracles.MAXSCORE,
     "op6_distribution_divergence": oracles.distribution_divergence(),
 }

@@ -97,3 +97,10 @@ def test_stages_bear_odd_rows(spark, sf):
     assert 0 < docs.count() < before.count()
     packed = corpus_pipeline.STAGES[-1][1](spark, docs, sf).collect()
     assert {r.doc_id for r in packed} == {r.doc_id for r in docs.collect()}
+
+
+def test_line_stage_leaves_no_short_line_twice(spark, sf):
+    texts = ["Licensed freely\nfirst text", "second text\nLicensed freely\nx", "x\n\nthird text\nLicensed freely", "Licensed freely"]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    made = {r.doc_id: r.text for r in corpus_pipeline.drop_lines(spark, docs, sf).collect()}
+    assert made == {0: texts[0], 1: "second text\nx", 2: "\nthird text", 3: ""}
