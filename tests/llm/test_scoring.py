@@ -134,6 +134,20 @@ def test_divergence_tells_symbols_from_prose(spark):
     assert 0 <= min(r.class_distance for r in rows.values()) <= max(r.word_distance for r in rows.values()) <= 1
 
 
+def test_long_text_without_common_words_is_rejected(spark, tmp_path):
+    from slackwater.llm import queries
+
+    rnd = random.Random(5)
+    common = quality.COMMON["en"]
+    other = ["w" + a + b for a in "abcdefghij" for b in "klmnopqrst"]
+    prose = [" ".join(rnd.choice(common) if rnd.random() < 0.18 else rnd.choice(other) for _ in range(300)) for _ in range(60)]
+    rows = [(i, t, "en") for i, t in enumerate([*prose, " ".join(rnd.choice(other) for _ in range(300))])]
+    spark.createDataFrame(rows, "doc_id long, text string, lang string").write.parquet(f"{tmp_path}/documents.parquet")
+    made = {r.doc_id: r for r in queries.QUERIES["op6_distribution_divergence_common_words"](spark, str(tmp_path)).collect()}
+    assert all(made[i].kept for i in range(60))
+    assert not made[60].kept and not made[60].base_failed and made[60].class_distance < 0.2
+
+
 def test_distance_of_equal_and_disjoint(spark):
     from pyspark.sql import functions as F
 
