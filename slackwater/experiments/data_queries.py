@@ -303,6 +303,40 @@ def bucketed_orders(spark, sf_dir):
     return spark.table(name).filter("o_custkey < 50").groupBy("o_custkey").agg(F.count("*").alias("n"))
 
 
+@registered("select o_orderpriority, count(*) as n from orders join lineitem on l_orderkey = o_orderkey group by all")
+def aligned_join_batches(spark, sf_dir):
+    """The aligned join over all slots, batch by batch; counts of batches add up."""
+    orders, lines = table(spark, sf_dir, "orders"), table(spark, sf_dir, "lineitem")
+    least, most = orders.agg(F.min("o_orderkey"), F.max("o_orderkey")).first()
+    cuts = [least + (most + 1 - least) * slot // N_SLOTS for slot in (0, 18, 60, 61, N_SLOTS)]
+    states = [relational.aligned_join(orders, lines, "o_orderkey", "l_orderkey", lo, hi).groupBy("o_orderpriority").agg(F.count("*").alias("n")) for lo, hi in zip(cuts, cuts[1:])]
+    every = states[0]
+    for state in states[1:]:
+        every = every.unionByName(state)
+    return every.groupBy("o_orderpriority").agg(F.sum("n").alias("n"))
+
+
+@registered(
+    """select o_orderkey, row_number() over w as row_number, rank() over w as rank, dense_rank() over w as dense_rank, percent_rank() over w as percent_rank, cume_dist() over w as cume_dist,
+    ntile(4) over w as ntile from orders window w as (partition by o_orderstatus order by o_orderkey)"""
+)
+def order_ranks_whole(spark, sf_dir):
+    ranked = relational.ranks(table(spark, sf_dir, "orders"), ("o_orderstatus",), [F.col("o_orderkey")])
+    return ranked.select("o_orderkey", *(F.col(c).cast("long").alias(c) for c in ("row_number", "rank", "dense_rank")), "percent_rank", "cume_dist", F.col("ntile").cast("long").alias("ntile"))
+
+
+@registered("select o_custkey, count(*) as n from orders group by o_custkey")
+def bucketed_orders_whole(spark, sf_dir):
+    """All orders in buckets of their customers; the count reads them without a shuffle."""
+    import uuid
+
+    from ..sources.sinks import write_bucketed
+
+    name = f"orders_by_customer_{uuid.uuid4().hex[:8]}"
+    write_bucketed(table(spark, sf_dir, "orders").select("o_custkey", "o_orderkey"), name, 8, "o_custkey")
+    return spark.table(name).groupBy("o_custkey").agg(F.count("*").alias("n"))
+
+
 @registered("select p_partkey as ad_id, p_brand as campaign from part where p_partkey < 100")
 def ad_campaigns(spark, sf_dir):
     """The ad map, through a CSV copy with a schema."""

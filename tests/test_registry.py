@@ -53,3 +53,10 @@ def test_library_stands_without_optional_parts():
     root = Path(__file__).resolve().parents[1]
     code = "import sys; sys.modules['slackwater.llm'] = None; sys.modules['corpus_pipeline'] = None; import __spark_entry__ as e; q = e.queries(); assert 'tpch_q1' in q and not any(n.startswith('op') and n[2].isdigit() for n in q); e.oracle_sql()"
     assert subprocess.run([sys.executable, "-c", code], cwd=root, timeout=120).returncode == 0
+
+
+def test_whole_tables_are_ranked_counted_and_joined(spark, sf):
+    n_orders, n_lines = (spark.read.parquet(f"{sf}/{t}.parquet").count() for t in ("orders", "lineitem"))
+    assert registry.QUERIES["order_ranks_whole"](spark, sf).count() == n_orders
+    assert sum(r.n for r in registry.QUERIES["bucketed_orders_whole"](spark, sf).collect()) == n_orders
+    assert sum(r.n for r in registry.QUERIES["aligned_join_batches"](spark, sf).collect()) == n_lines
