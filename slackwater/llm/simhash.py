@@ -26,21 +26,31 @@ from .common import scratch, split_count
 LEAF = 64
 
 
-def fingerprint(text: str | None, words: int, seed: int) -> int:
-    """The fingerprint of a text as a signed integer; its bits are the majority over the hashes of word shingles."""
+def shingle_hashes(text: str | None, words: int, seed: int) -> np.ndarray:
+    """The hashes of a text's word shingles, repeats included, as unsigned integers."""
     tokens = (text or "").encode("utf-8", "surrogatepass").lower().split()  # bytes: A-Z alone change, 9 to 13 and 32 split
     if not tokens:
-        return 0
+        return np.zeros(0, np.uint64)
     joined = b" ".join(tokens)
     ends = np.cumsum([len(t) + 1 for t in tokens]) - 1
     starts = np.concatenate([[0], ends[:-1] + 1])
     span = min(words, len(tokens))
     digest = xxhash.xxh64_digest
     hashes = b"".join([digest(joined[s:e], seed) for s, e in zip(starts[: len(tokens) - span + 1].tolist(), ends[span - 1 :].tolist(), strict=True)])
-    bits = np.unpackbits(np.frombuffer(hashes, np.uint8)).reshape(-1, 64)
+    return np.frombuffer(hashes, ">u8").astype(np.uint64)
+
+
+def majority(hashes: np.ndarray) -> int:
+    """The bits that more than half of the hashes have, as a signed integer; zero without hashes."""
+    bits = np.unpackbits(hashes.astype(">u8").view(np.uint8)).reshape(-1, 64)
     return int(np.packbits(bits.sum(axis=0, dtype=np.uint32) * 2 > len(bits)).view(">i8")[0])
 
 
+def fingerprint(text: str | None, words: int, seed: int) -> int:
+    """The fingerprint of a text as a signed integer; its bits are the majority over the hashes of word shingles."""
+    return majority(shingle_hashes(text, words, seed))
+
+
 def fingerprints(docs: DataFrame, words: int = 4, seed: int = 42, also: list[Column] | None = None) -> DataFrame:
     """doc_id, the columns `also`, and the fingerprint as a long, bits."""
     df = docs.select("doc_id", "text", *(also or []))
@@ -190,10 +200,35 @@ def links(nodes: DataFrame, budget: int = 4, least: int = 8192, aim: int = 1 <<
     return scratch(both.select("k", "l", "held", "other").repartition(max(1, parts), "k", "l").mapInArrow(compare, "u long, v long"))
 
 
+def contract(batches: Iterator[pa.RecordBatch], most: int = 1 << 20) -> Iterator[pa.RecordBatch]:
+    """Links (node, smaller node) that join what a partition's links join, in blocks of about `most` links."""
+    u, v, held = [], [], 0
+
+    def give() -> pa.RecordBatch:
+        nodes, k = np.unique(np.concatenate([*u, *v]), return_inverse=True)
+        root = nodes[labels_of(k[: len(k) // 2], k[len(k) // 2 :], len(nodes))]
+        return pa.RecordBatch.from_arrays([pa.array(x[root != nodes], pa.int64()) for x in (nodes, root)], names=["u", "v"])
+
+    for batch in batches:
+        u.append(batch.column(0).to_numpy(zero_copy_only=False))
+        v.append(batch.column(1).to_numpy(zero_copy_only=False))
+        held += batch.num_rows
+        if held >= most:
+            yield give()
+            u, v, held = [], [], 0
+    if held:
+        yield give()
+
+
 def components(edges: DataFrame) -> DataFrame:
-    """node and root (the smallest node that it is linked to, over any number of links) of every node of edges (u, v)."""
-    state = None
+    """node and root (the smallest node that it is linked to, over any number of links) of every node of edges (u, v).
+
+    Partitions join what they can; then alternating stars, until every node hangs on one that hangs on none."""
+    edges = scratch(edges.select("u", "v").mapInArrow(contract, "u long, v long"))
     while True:
+        ends = edges.select(F.explode(F.array(F.struct(F.col("u").alias("node"), F.lit(1).alias("below"), F.lit(0).alias("above")), F.struct(F.col("v").alias("node"), F.lit(0).alias("below"), F.lit(1).alias("above")))).alias("e"))
+        if ends.groupBy("e.node").agg(F.sum("e.below").alias("below"), F.max("e.above").alias("above")).filter("below + above > 1").isEmpty():
+            return edges.select(F.col("u").alias("node"), F.col("v").alias("root"))
         # large star: everything above a node hangs on the smallest neighbour
         both = edges.union(edges.select("v", "u"))
         least = scratch(both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m")))
@@ -201,11 +236,8 @@ def components(edges: DataFrame) -> DataFrame:
         # small star: a node and what lies below it hang on the smallest of them
         edges = scratch(edges)
         least = scratch(edges.groupBy("u").agg(F.min("v").alias("m")))
-        edges = scratch(edges.join(least, "u").select(F.explode(F.array(F.struct(F.col("u"), F.col("m").alias("v")), F.struct(F.col("v").alias("u"), F.col("m").alias("v")))).alias("e")).select("e.u", "e.v").filter("u <> v").distinct())
-        now = edges.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
-        if now == state:
-            return edges.select(F.col("u").alias("node"), F.col("v").alias("root"))
-        state = now
+        edges = edges.join(least, "u").select(F.explode(F.array(F.struct(F.col("u"), F.col("m").alias("v")), F.struct(F.col("v").alias("u"), F.col("m").alias("v")))).alias("e")).select("e.u", "e.v").filter("u <> v")
+        edges = scratch(edges.distinct().mapInArrow(contract, "u long, v long"))
 
 
 def groups(prints: DataFrame, budget: int = 4) -> DataFrame:

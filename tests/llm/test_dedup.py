@@ -6,7 +6,7 @@ import random
 import numpy as np
 import pytest
 import xxhash
-from slackwater.llm import line_dedup, simhash, suffix_dedup
+from slackwater.llm import jaccard, line_dedup, simhash, suffix_dedup
 
 SCHEMA = "doc_id long, text string, lang string, gone string, kept_text string, marked int, doc int"
 
@@ -281,3 +281,20 @@ def test_near_stage_drops_exactly_what_is_similar(spark):
     made = corpus_pipeline.drop_near_copies(spark, table(spark, rows).repartition(5), "")
     assert sorted(r.doc_id for r in made.collect()) == sorted(set(root))
     assert corpus_pipeline.drop_near_copies(spark, table(spark, rows).filter("false"), "").count() == 0
+
+
+@pytest.mark.parametrize("dense", [1, 3, 100])
+def test_overlaps_and_block_links_equal_brute_force(spark, dense):
+    rnd = random.Random(5)
+    core = list(range(40))
+    sets = [sorted(set(rnd.sample(core, rnd.randint(30, 40)) + [rnd.randint(100, 10**6) for _ in range(rnd.randint(0, 6))])) for _ in range(90)]
+    flat, member = np.array([x for s in sets for x in s]), np.repeat(np.arange(90), [len(s) for s in sets])
+    a, b = np.arange(0, 50), np.arange(30, 90)
+    assert (jaccard.overlaps(flat, member, a, b, dense, 7) == [[len(set(sets[i]) & set(sets[j])) for j in b] for i in a]).all()
+    held = spark.createDataFrame([(i, len(s), s) for i, s in enumerate(sets)], "node long, n long, x array<long>")
+    lists = held.select(held.n * 0, "node", "n").toDF("list", "node", "n")
+    near = [(i, j) for i in range(90) for j in range(i) if 10 * len(set(sets[i]) & set(sets[j])) >= 8 * len(set(sets[i]) | set(sets[j]))]
+    u, v = np.array(near).T
+    found = [(r.u, r.v) for r in jaccard.block_links(lists, held, 80, members=20).collect()]
+    x, y = np.array(found).T
+    assert (simhash.labels_of(u, v, 90) == simhash.labels_of(x, y, 90)).all() and len(set(simhash.labels_of(u, v, 90))) > 5
