@@ -92,7 +92,7 @@ def overlaps(shingle: np.ndarray, member: np.ndarray, a: np.ndarray, b: np.ndarr
         x[to_a[m[to_a[m] >= 0]], column[to_a[m] >= 0]] = 1
         y[to_b[m[to_b[m] >= 0]], column[to_b[m] >= 0]] = 1
         both += x @ y.T
-    few = np.flatnonzero((df > 1) & (df < dense))
+    few = np.flatnonzero(df < dense)
     start, count = np.repeat(first[few], df[few]), np.repeat(df[few], df[few])
     i = np.repeat(simhash.ranges(first[few], first[few] + df[few]), count)
     i, j = to_a[member[i]], to_b[member[simhash.ranges(start, start + count)]]
