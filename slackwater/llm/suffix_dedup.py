@@ -1,20 +1,20 @@
 """Suffix-array dedup with run-length indexes: removes what a long byte string repeats that starts earlier.
 
 1. Phrases. Every window of `length` bytes has an anchor, its least 32-byte gram by hash, so equal windows have equal
-   anchors at equal places. Consecutive windows of one anchor form a phrase; its content and place make a name. Phrases
-   of one name are equal in full: only the first in the order of documents can hold anything new. Tasks drop their own
-   repeats before rows are dealt out by anchor, so a passage in a third of all documents is one row from each task.
-   Anchors that a sample shows in many different phrases (the edge of such a passage) give their windows one by one,
-   dealt out by all their bytes: those that meet are equal.
-2. Indexes. Where one anchor has phrases of several names, the first phrase of each name is sent to the shard of its
-   anchor. A shard builds the run-compressed Burrows-Wheeler transform of its phrases with samples at the ends of the
-   runs, streams every phrase through it backward by LF steps, and reads the matching statistics: whether the window at
-   each place matches, over `length` bytes, the text at an earlier place.
-3. Both kinds of marks meet their documents; covered bytes go.
-
-Windows never cross documents. Names are 96 bits: the chance that any two different phrases of 100 TB share one is
-below one in ten thousand. A shard works in blocks of bounded bytes; an anchor whose phrases exceed a block is split by
-the bytes around it, which equal windows share.
+   anchors at equal places. Consecutive windows of one anchor form a phrase; its content and place make a name. A task
+   drops its own repeats, found by name and compared byte by byte, before rows are dealt out by anchor, so a passage in
+   a third of all documents is one row from each task. Anchors that a sample shows in many different phrases (the edge
+   of such a passage) give their windows one by one, dealt out by a hash of all their bytes.
+2. Indexes. The phrases of an anchor that has more than one go, with their bytes, to the shard of the anchor. A shard
+   builds the run-compressed Burrows-Wheeler transform of its phrases and keeps what the ends of runs say: the place
+   before and after each in the order of suffixes, and how long they match. All else follows by steps from the nearest
+   sample. It streams the matching statistic of every place, and where that is `length` or more, walks the equal places
+   by the samples; all but the earliest are marks.
+3. Marks meet their documents; covered bytes go.
+
+Windows never cross documents. Hashes decide only what meets: marks rest on bytes. A shard reads its rows in the order
+of anchors and works in blocks of bounded bytes; an anchor whose phrases exceed a block is split by the bytes around it,
+which equal windows share.
 
 Rows: a null text is empty (and comes back empty); rows equal in doc_id and text count as one document and share its result; rows with one
 doc_id and different texts are ordered by a hash of the text; null doc_ids come first; an empty table gives no rows.
@@ -147,7 +147,18 @@ def spans(doc: np.ndarray, tie: np.ndarray, start: np.ndarray, n: np.ndarray) ->
     return doc[first], tie[first], start[first], np.add.reduceat(n, first) if len(first) else n
 
 
-def find_phrases(length: int, hot: np.ndarray | None = None, block: int = 1 << 18, most: int = 1 << 22, held: int = 200_000):
+def equal_bytes(data: np.ndarray, a: np.ndarray, b: np.ndarray, size: np.ndarray, most: int = 1 << 20) -> np.ndarray:
+    """Whether the `size` bytes at a and at b are the same, about `most` bytes at a time."""
+    out, ends, i = np.ones(len(a), bool), np.cumsum(size), 0
+    while i < len(a):
+        j = max(i + 1, int(np.searchsorted(ends, (ends[i - 1] if i else 0) + most, side="right")))
+        differ = data[ranges(a[i:j], a[i:j] + size[i:j])] != data[ranges(b[i:j], b[i:j] + size[i:j])]
+        out[i:j] = ~np.logical_or.reduceat(differ, np.concatenate([[0], np.cumsum(size[i:j])[:-1]]))
+        i = j
+    return out
+
+
+def find_phrases(length: int, hot: np.ndarray | None = None, block: int = 1 << 18, most: int = 1 << 20, held: int = 200_000):
     """Rows of DEALT for a partition of (doc, tie, text): its phrases without its own repeats, and marks for those.
 
     A mark has an odd `at`; its key is any number, so that marks are dealt out evenly.
@@ -168,10 +179,16 @@ def find_phrases(length: int, hot: np.ndarray | None = None, block: int = 1 << 1
                     yield doc[i:j], tie[i:j], data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i], 0
                 i = j
 
-    def give(parts: list[Rows]) -> Iterator[pa.RecordBatch]:
-        rows = Rows.join(parts)
-        rows = rows.of(rows.ordered())
+    def give(parts: list[tuple[Rows, np.ndarray, np.ndarray]]) -> Iterator[pa.RecordBatch]:
+        """parts: phrases, where each begins, and the bytes that they begin in."""
+        rows, data = Rows.join([p[0] for p in parts]), np.concatenate([p[2] for p in parts])
+        begin = np.concatenate([p[1] + shift for p, shift in zip(parts, np.cumsum([0, *(len(p[2]) for p in parts)]), strict=False)])
+        order = rows.ordered()
+        rows, begin = rows.of(order), begin[order]
         again = np.concatenate([[False], (rows.key[1:] == rows.key[:-1]) & (rows.name[1:] == rows.name[:-1])])
+        first = np.flatnonzero(~again)[np.cumsum(~again) - 1]
+        at = np.flatnonzero(again)
+        again[at] = equal_bytes(data, begin[at], begin[first[at]], rows.n[at] + length - 1)
         # a row that is there twice (equal doc_id and text) is no copy of itself
         same = np.concatenate([[False], (rows.doc[1:] == rows.doc[:-1]) & (rows.tie[1:] == rows.tie[:-1]) & (rows.start[1:] == rows.start[:-1])])
         yield fill(["key", "name", "doc", "at"], [pa.int64()] * 4, dealt(rows.of(~again)))
@@ -184,7 +201,7 @@ def find_phrases(length: int, hot: np.ndarray | None = None, block: int = 1 << 1
         for doc, tie, data, offsets, shift in blocks(batches):
             text, start, n, off, key, name = phrases(data, offsets, length, hot)
             if len(text):
-                parts.append(Rows(key, name, doc[text], tie[text], start + shift, n, off))
+                parts.append((Rows(key, name, doc[text], tie[text], start + shift, n, off), offsets[text] + start, data))
                 count += len(text)
             if count >= held:
                 yield from give(parts)
@@ -195,58 +212,81 @@ def find_phrases(length: int, hot: np.ndarray | None = None, block: int = 1 << 1
     return run
 
 
-NOTES = "doc long, tie long, start long, n long, off int, key long"
+def key_groups(batches: Iterator[pa.RecordBatch], most: int) -> Iterator[pa.Table]:
+    """Rows that come in the order of the column key, as tables of about `most` bytes that hold all rows of their keys."""
+    held, size = [], 0
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        key = batch.column("key").to_numpy(zero_copy_only=False)
+        if held and size >= most and key[0] != held[-1].column("key")[-1].as_py():
+            yield pa.Table.from_batches(held)
+            held, size = [], 0
+        if size + batch.nbytes >= most and key[0] != key[-1]:  # up to where its last key begins
+            cut = int(np.flatnonzero(key != key[-1])[-1]) + 1
+            yield pa.Table.from_batches([*held, batch.slice(0, cut)])
+            batch, held, size = batch.slice(cut), [], 0
+        held.append(batch)
+        size += batch.nbytes
+    if held:
+        yield pa.Table.from_batches(held)
 
 
-def settle(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows of NOTES for a partition of dealt phrases: marks (key null), and phrases that need an index."""
-    names, kinds = ["doc", "tie", "start", "n", "off", "key"], [pa.int64()] * 4 + [pa.int32(), pa.int64()]
-    parts = [[], [], [], []]
-    for batch in batches:
-        for k in range(4):
-            parts[k].append(batch.column(k).to_numpy())
-    if not parts[0]:
-        return
-    key, name, doc, at = (np.concatenate(p) for p in parts)
-    tie = name & 0xFFFFFFFF
-    mark = at & 1 == 1
-    found = [(doc[mark], tie[mark], at[mark] >> 16, name[mark] >> 32)]
-    order = np.argsort(key[~mark])
-    k = key[~mark][order]
-    twin = np.concatenate([[False], k[1:] == k[:-1]])
-    order = np.flatnonzero(~mark)[order][twin | np.concatenate([twin[1:], [False]])]  # anchors that are alone match nothing
-    if len(order):
-        at = at[order]
-        rows = Rows(key[order].view(np.uint64), (name[order].view(np.uint64) >> np.uint64(32)).astype(np.uint32), doc[order], tie[order], at >> 16, at >> 8 & 255, at >> 1 & 127)
-        rows = rows.of(rows.ordered())
-        new_key = np.concatenate([[True], rows.key[1:] != rows.key[:-1]])
-        new = new_key | np.concatenate([[True], rows.name[1:] != rows.name[:-1]])
-        first = np.flatnonzero(new)[np.cumsum(new) - 1]
-        itself = (rows.doc == rows.doc[first]) & (rows.tie == rows.tie[first]) & (rows.start == rows.start[first])
-        again = ~new & ~itself
-        found.append((rows.doc[again], rows.tie[again], rows.start[again], rows.n[again]))
-        group = np.cumsum(new_key) - 1
-        several = np.bincount(group, weights=new)[group] > 1
-        asked = rows.of(np.flatnonzero(new & several))
-        yield fill(names, kinds, [asked.doc, asked.tie, asked.start, asked.n, asked.off.astype(np.int32), asked.key.view(np.int64)])
-    doc, tie, start, n = spans(*(np.concatenate(x) for x in zip(*found, strict=True)))
-    yield fill(names, kinds, [doc, tie, start, n, np.zeros(len(doc), np.int32), pa.nulls(len(doc), pa.int64())])
+NOTES = "doc long, tie long, start long, n long, off long, key long"
+"""off: the place of the anchor, and above it, from bit 8 on, the name."""
+
+
+def settle(batches: Iterator[pa.RecordBatch], most: int = 1 << 24) -> Iterator[pa.RecordBatch]:
+    """Rows of NOTES for dealt phrases in the order of keys: marks (key null), and phrases that need an index."""
+    names, kinds = ["doc", "tie", "start", "n", "off", "key"], [pa.int64()] * 6
+    for table in key_groups(batches, most):
+        key, name, doc, at = (table.column(k).to_numpy() for k in range(4))
+        tie, mark = name & 0xFFFFFFFF, at & 1 == 1
+        found = spans(doc[mark], tie[mark], at[mark] >> 16, name[mark] >> 32)
+        yield fill(names, kinds, [*found, np.zeros(len(found[0]), np.int64), pa.nulls(len(found[0]), pa.int64())])
+        key, name, doc, tie, at = (x[~mark] for x in (key, name, doc, tie, at))
+        twin = np.concatenate([[False], key[1:] == key[:-1]]) if len(key) else np.zeros(0, bool)
+        asked = twin | np.concatenate([twin[1:], [False]]) if len(key) else twin  # anchors that are alone match nothing
+        at = at[asked]
+        yield fill(names, kinds, [doc[asked], tie[asked], at >> 16, at >> 8 & 255, (name[asked] >> 32 & 0xFFFFFFFF) << 8 | at >> 1 & 127, key[asked]])
 
 
 class RunLengthIndex:
     """The run-compressed Burrows-Wheeler transform of phrases, each with an end of its own below all bytes.
 
     Rows are the sorted suffixes; row i is the empty suffix of phrase i. heads and begins are the runs' bytes (plus 1;
-    0 before a phrase's start) and first rows; last_phrase and last_place are samples at the runs' last rows; step is
-    what an LF step adds to a row of a run. cuts are the rows whose common prefix with the row before is shorter than
-    `length`, and earliest the first place, as phrase * width + offset, in each of the intervals between them.
+    0 before a phrase's start, always a run by itself) and first rows. A place is phrase * width + offset. In the order
+    of places, up_from are the places of the runs' first rows, up_to the places of the rows before them and up_match
+    how many bytes those two share; down_from are the places of the runs' last rows, down_to those of the rows after.
+    These samples say the same of every other place: its neighbour is as far behind the neighbour of the nearest sample
+    before it as it is behind that sample, and they share as many bytes less. Nothing is kept for each row.
+
+    times: how often each phrase is there. Copies lengthen the runs; places are those of the first.
     """
 
-    def __init__(self, data: np.ndarray, offsets: np.ndarray, length: int):
+    def __init__(self, data: np.ndarray, offsets: np.ndarray, length: int, times: np.ndarray | None = None):
         if length < 7:
             raise ValueError("length is 7 or more")
         self.length, self.size = length, np.diff(offsets)
-        m, self.width = len(self.size), int(self.size.max(initial=0)) + 1
+        self.width = int(self.size.max(initial=0)) + 1
+        rows, before = self._sorted(data)
+        change = np.concatenate([[True], (before[1:] != before[:-1]) | (before[1:] == 0)])
+        at = np.flatnonzero(change)
+        ends = np.concatenate([[0], np.cumsum(np.ones(len(rows), np.int64) if times is None else times[rows // self.width])])
+        self.rows, self.begins, self.heads = int(ends[-1]), ends[at], before[at]
+        self.by_head = np.argsort(self.heads, kind="stable")  # the order in which what they begin is sorted
+        first, last = rows[at], rows[np.append(at[1:], len(rows))[: len(at)] - 1]
+        above = np.append(-1, last[:-1])  # the first row has none
+        match = np.zeros(len(first), np.int64)
+        match[1:] = self._common(data, offsets, first[1:], above[1:])
+        order = np.argsort(first)
+        self.up_from, self.up_to, self.up_match = first[order], above[order], match[order]
+        order = np.argsort(last)
+        self.down_from, self.down_to = last[order], np.append(first[1:], -1)[order]
+
+    def _sorted(self, data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The places of all rows, and the byte (plus 1) before each, by prefix doubling."""
+        m = len(self.size)
         text = np.zeros((m, self.width + 7), np.uint16)
         inside = np.arange(self.width)[None, :] < self.size[:, None]
         text[:, : self.width][inside] = data.astype(np.uint16) + 1
@@ -254,43 +294,37 @@ class RunLengthIndex:
         for j in range(7):
             key = key << np.uint64(9) | text[:, j : j + self.width]
         places = np.flatnonzero(inside.ravel())
-        rank, depth, equal, values = np.zeros((m, self.width), np.uint32), 7, None, key.ravel()[places]
+        rank, depth, values = np.zeros((m, self.width), np.uint32), 7, key.ravel()[places]
         del key
         while True:
             order = np.argsort(values)
             ordered = values[order]
             number = np.cumsum(np.concatenate([[1], ordered[1:] != ordered[:-1]]), dtype=np.uint32) if len(order) else np.zeros(0, np.uint32)
             rank.ravel()[places[order]] = number
-            if 2 * depth > length > depth or depth == length:  # two overlapping runs of `depth` bytes make one of `length`
-                equal = self._pair(rank, length - depth).ravel()
             if depth >= self.width or len(number) == 0 or number[-1] == len(number):
-                if equal is None and 2 * depth <= length:  # settled early: whoever is alone matches nothing
-                    equal = rank.astype(np.uint64).ravel()
                 break
             values, depth = self._pair(rank, depth).ravel()[places], 2 * depth
         # equal ends are in the order of their phrases
         order = np.argsort(rank.ravel()[places].astype(np.uint64) << np.uint64(32) | np.arange(len(places), dtype=np.uint64))
-        ends = np.arange(m) * self.width + self.size  # the empty suffixes, in the order of phrases, come first
-        rows = np.concatenate([ends, places[order]])
+        rows = np.concatenate([np.arange(m) * self.width + self.size, places[order]])  # the empty suffixes come first
         before = text[:, : self.width].ravel()[rows - 1]
         before[rows % self.width == 0] = 0
-        change = np.concatenate([[True], before[1:] != before[:-1]])
-        self.begins = np.flatnonzero(change)
-        self.heads = before[self.begins]
-        last = rows[np.concatenate([self.begins[1:], [len(rows)]]) - 1]
-        self.last_phrase, self.last_place = last // self.width, last % self.width
-        lengths = np.diff(np.concatenate([self.begins, [len(rows)]]))
-        by_head = np.argsort(self.heads, kind="stable")
-        target = np.zeros(len(by_head), np.int64)
-        target[by_head] = np.cumsum(lengths[by_head]) - lengths[by_head]  # runs of smaller bytes, then earlier runs, come before
-        self.step = target - self.begins
-        self.rows = len(rows)
-        full = self.size[rows // self.width] - rows % self.width >= length
-        tag = equal[rows]
-        self.cuts = np.flatnonzero(np.concatenate([[True], (tag[1:] != tag[:-1]) | ~full[1:] | ~full[:-1]]))
-        self.earliest = np.minimum.reduceat(rows, self.cuts) if len(rows) else rows
-        # by head: where its rows start, and the runs' rows of it before each of its runs, for searches
-        self.by_head, self.target = by_head, target
+        return rows, before
+
+    def _common(self, data: np.ndarray, offsets: np.ndarray, a: np.ndarray, b: np.ndarray, step: int = 16) -> np.ndarray:
+        """How many bytes two places share, at most to the end of the phrase that ends first."""
+        most = np.minimum(self.size[a // self.width] - a % self.width, self.size[b // self.width] - b % self.width)
+        a, b = offsets[a // self.width] + a % self.width, offsets[b // self.width] + b % self.width
+        out, open_ = np.zeros(len(a), np.int64), np.flatnonzero(most > 0)
+        ahead = np.arange(step)
+        padded = np.append(data, np.zeros(step, np.uint8))
+        while len(open_):
+            at = out[open_]
+            differ = padded[(a[open_] + at)[:, None] + ahead] != padded[(b[open_] + at)[:, None] + ahead]
+            n = np.where(differ.any(axis=1), differ.argmax(axis=1), step)
+            out[open_] = np.minimum(at + n, most[open_])
+            open_ = open_[(n == step) & (at + step < most[open_])]
+        return out
 
     def _pair(self, rank: np.ndarray, shift: int) -> np.ndarray:
         key = rank.astype(np.uint64) << np.uint64(32)
@@ -298,21 +332,43 @@ class RunLengthIndex:
             key[:, : self.width - shift] |= rank[:, shift:].astype(np.uint64)
         return key
 
+    def above(self, place: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The places of the rows before those of the given places, and how many bytes they share."""
+        k = np.searchsorted(self.up_from, place, side="right") - 1
+        behind = place - self.up_from[k]
+        return np.where(self.up_to[k] < 0, -1, self.up_to[k] + behind), np.maximum(self.up_match[k] - behind, 0)
+
+    def below(self, place: np.ndarray) -> np.ndarray:
+        """The places of the rows after those of the given places; -1 after the last."""
+        k = np.searchsorted(self.down_from, place, side="right") - 1
+        return np.where(self.down_to[k] < 0, -1, self.down_to[k] + place - self.down_from[k])
+
+    def statistics(self, place: np.ndarray) -> np.ndarray:
+        """How long the text at each of the given places is found again at any other place."""
+        after = self.below(place)
+        return np.maximum(self.above(place)[1], np.where(after < 0, 0, self.above(np.maximum(after, 0))[1]))
+
     def stream(self) -> tuple[np.ndarray, np.ndarray]:
-        """Phrase and offset of every place from which `length` bytes match an earlier place."""
-        row, out = np.arange(len(self.size)), []
-        alive = np.arange(len(self.size))
-        # every row is visited once: what its run and its interval say is spelled out by row for the time of the stream
-        back = np.repeat(self.step, np.diff(np.append(self.begins, self.rows)))
-        earliest = np.repeat(self.earliest, np.diff(np.append(self.cuts, self.rows)))
-        for step in range(1, self.width):
-            keep = self.size[alive] >= step
-            alive, row = alive[keep], row[keep]
-            row = row + back[row]
-            if step >= self.length:
-                here = alive * self.width + self.size[alive] - step
-                out.append(here[earliest[row] < here])
-        found = np.sort(np.concatenate(out)) if out else np.zeros(0, np.int64)
+        """Phrase and offset of every place from which `length` bytes match an earlier place.
+
+        Runs whose first row shares `length` bytes with the row before begin stretches of places that do. The rows of
+        equal windows are walked from the first down, all such groups at once, and all but the earliest place count.
+        """
+        long = np.flatnonzero(self.up_match >= self.length)
+        end = np.minimum(self.up_from[long] + self.up_match[long] - self.length + 1, np.append(self.up_from[1:], np.iinfo(np.int64).max)[long])
+        linked = ranges(self.up_from[long], end)
+        top, _ = self.above(linked)
+        at = np.unique(top[self.above(top)[1] < self.length])
+        group, least, seen = np.arange(len(at)), at.copy(), [(np.arange(len(at)), at)]
+        while len(at):
+            at = self.below(at)
+            more = at >= 0
+            more[more] = self.above(at[more])[1] >= self.length
+            at, group = at[more], group[more]
+            least[group] = np.minimum(least[group], at)
+            seen.append((group, at))
+        group, at = (np.concatenate(x) for x in zip(*seen, strict=True))
+        found = np.sort(at[at != least[group]])
         return found // self.width, found % self.width
 
     def count(self, pattern: bytes) -> int:
@@ -331,9 +387,9 @@ class RunLengthIndex:
         return smaller + int(np.clip(row - begins, 0, lengths[runs]).sum())
 
 
-def index_blocks(rows: Rows, data: np.ndarray, offsets: np.ndarray, length: int, most: int) -> Iterator[tuple[Rows, np.ndarray, np.ndarray]]:
+def index_blocks(rows: Rows, data: np.ndarray, offsets: np.ndarray, length: int, most: int, times: np.ndarray) -> Iterator[tuple[Rows, np.ndarray, np.ndarray, np.ndarray]]:
     """Blocks of up to `most` bytes that hold all phrases of their anchors. rows are sorted by key, document and start;
-    offsets say where in data each begins.
+    offsets say where in data each begins, times how often its bytes are there.
 
     An anchor with more than that is split. All its windows hold the anchor; those with much room before it also share
     what stands there with their equals, the others what stands after it: so windows are dealt by a hash of those
@@ -345,12 +401,12 @@ def index_blocks(rows: Rows, data: np.ndarray, offsets: np.ndarray, length: int,
     def bytes_in(n: np.ndarray) -> int:
         return int((n + length - 1).sum())
 
-    def cut() -> tuple[Rows, np.ndarray, np.ndarray]:
+    def cut() -> tuple[Rows, np.ndarray, np.ndarray, np.ndarray]:
         at, lo, n = (np.concatenate(x) for x in zip(*held, strict=True))
         begin = offsets[at] + lo
         part = rows.of(at)
         part.start, part.n = part.start + lo, n
-        return part, data[ranges(begin, begin + n + length - 1)], np.concatenate([[0], np.cumsum(n + length - 1)])
+        return part, data[ranges(begin, begin + n + length - 1)], np.concatenate([[0], np.cumsum(n + length - 1)]), times[at]
 
     def split(at: np.ndarray, lo: np.ndarray, n: np.ndarray, before: int, after: int) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
         """before, after: how far the common bytes reach around the start of the anchor."""
@@ -394,29 +450,44 @@ MARKS = "doc long, tie long, start long, n long"
 
 
 def match(length: int, most: int = 1 << 20):
-    """Marks for a partition of phrases with their bytes."""
+    """Marks for phrases with their bytes, in the order of keys.
+
+    Of phrases with the same bytes the index sorts one, the first, and knows how many there are; the matching statistics
+    of the others reach to their ends.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        batches = [b for b in batches if b.num_rows]
-        if not batches:
-            return
-        table = pa.Table.from_batches(batches)
-        key, doc, tie, start, n, off = (table.column(c).to_numpy() for c in ("key", "doc", "tie", "start", "n", "off"))
-        order = np.lexsort((start, tie, doc, key))
-        same = [x[order][1:] == x[order][:-1] for x in (key, doc, tie, start)]
-        order = order[np.concatenate([[True], ~np.logical_and.reduce(same)])]  # equal rows ask for the same bytes
-        data, offsets = packed_bytes(table.column("bytes"))
-        rows = Rows(key, key, doc, tie, start, n, off.astype(np.int64)).of(order)
-        found = []
-        for part, bytes_, ends in index_blocks(rows, data, offsets[:-1][order], length, most):
-            phrase, place = RunLengthIndex(bytes_, ends, length).stream()
-            found.append((part.doc[phrase], part.tie[phrase], part.start[phrase] + place, np.ones(len(phrase), np.int64)))
-        yield fill(["doc", "tie", "start", "n"], [pa.int64()] * 4, spans(*(np.concatenate(x) for x in zip(*found, strict=True))))
+        for table in key_groups(batches, most):
+            key, doc, tie, start, n, off = (table.column(c).to_numpy() for c in ("key", "doc", "tie", "start", "n", "off"))
+            data, offsets = packed_bytes(table.column("bytes"))
+            rows = Rows(key, off >> 8, doc, tie, start, n, off & 255)
+            order = rows.ordered()
+            rows, begin = rows.of(order), offsets[:-1][order]
+            known = np.concatenate([[False], (rows.key[1:] == rows.key[:-1]) & (rows.name[1:] == rows.name[:-1])])
+            first = np.flatnonzero(~known)[np.cumsum(~known) - 1]
+            at = np.flatnonzero(known)
+            known[at] = (rows.n[at] == rows.n[first[at]]) & (rows.off[at] == rows.off[first[at]])
+            at = np.flatnonzero(known)
+            known[at] = equal_bytes(data, begin[at], begin[first[at]], rows.n[at] + length - 1)
+            itself = known & (rows.doc == rows.doc[first]) & (rows.tie == rows.tie[first]) & (rows.start == rows.start[first])
+            copies = rows.of(np.flatnonzero(known & ~itself))
+            found = [(copies.doc, copies.tie, copies.start, copies.n)]
+            times = np.bincount(first[known & ~itself], minlength=len(first)) + 1
+            kept = np.flatnonzero(~known)
+            kept = kept[np.lexsort((rows.start[kept], rows.tie[kept], rows.doc[kept], rows.key[kept]))]
+            rows, begin, times = rows.of(kept), begin[kept], times[kept]
+            alone = np.concatenate([[True], rows.key[1:] != rows.key[:-1]])
+            several = ~(alone & np.concatenate([alone[1:], [True]]))  # what only has copies of itself matches nothing else
+            rows, begin, times = rows.of(several), begin[several], times[several]
+            for part, bytes_, ends, count in index_blocks(rows, data, begin, length, most, times) if len(rows) else ():
+                phrase, place = RunLengthIndex(bytes_, ends, length, count).stream()
+                found.append((part.doc[phrase], part.tie[phrase], part.start[phrase] + place, np.ones(len(phrase), np.int64)))
+            yield fill(["doc", "tie", "start", "n"], [pa.int64()] * 4, spans(*(np.concatenate(x) for x in zip(*found, strict=True))))
 
     return run
 
 
-ASKED = "doc long, tie long, start long, n long, off int, key long, bytes binary"
+ASKED = "doc long, tie long, start long, n long, off long, key long, bytes binary"
 
 
 def take_bytes(length: int, most: int = 1 << 20):
@@ -436,7 +507,7 @@ def take_bytes(length: int, most: int = 1 << 20):
             while i < len(at):
                 j = max(i + 1, int(np.searchsorted(ends, ends[i] + most, side="right")) - 1)
                 chunk = pa.Array.from_buffers(pa.binary(), j - i, [None, pa.py_buffer((ends[i : j + 1] - ends[i]).astype(np.int32)), pa.py_buffer(np.ascontiguousarray(data[ranges(begin[i:j], begin[i:j] + size[i:j])]))])
-                yield fill(["doc", "tie", "start", "n", "off", "key"], [pa.int64()] * 4 + [pa.int32(), pa.int64()], [x[i:j] for x in (doc, tie, start, n, off, key)]).append_column("bytes", chunk)
+                yield fill(["doc", "tie", "start", "n", "off", "key"], [pa.int64()] * 6, [x[i:j] for x in (doc, tie, start, n, off, key)]).append_column("bytes", chunk)
                 i = j
 
     return run
@@ -463,11 +534,11 @@ def repeats(docs: DataFrame, length: int = 100) -> DataFrame:
         raise ValueError("length is from 64 to 112: three grams of 64 bytes must cover a phrase")
     texts = keyed(docs)
     narrow = texts.select("doc", "tie", "text")
-    notes = scratch(narrow.mapInArrow(find_phrases(length, hot_anchors(narrow, length)), DEALT).repartition("key").mapInArrow(settle, NOTES))
+    notes = scratch(narrow.mapInArrow(find_phrases(length, hot_anchors(narrow, length)), DEALT).repartition("key").sortWithinPartitions("key").mapInArrow(settle, NOTES))
     asked = notes.filter("key is not null").groupBy("doc", "tie").agg(F.collect_list(F.struct("start", "n", "off", "key")).alias("asked"))
     # doc_id goes along so that both joins deal out the same rows, and Spark does it once
     found = texts.select("doc_id", "text", "doc", "tie").join(asked, ["doc", "tie"]).select("doc", "tie", "text", "asked", "doc_id")
-    found = found.mapInArrow(take_bytes(length), ASKED).repartition("key").mapInArrow(match(length), MARKS)
+    found = found.mapInArrow(take_bytes(length), ASKED).repartition("key").sortWithinPartitions("key").mapInArrow(match(length), MARKS)
     marks = notes.filter("key is null").select("doc", "tie", "start", "n").unionByName(found)
     marks = marks.groupBy("doc", "tie").agg(F.collect_list(F.struct("start", "n")).alias("marked"))
     return texts.join(marks, ["doc", "tie"], "left")

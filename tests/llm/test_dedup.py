@@ -89,8 +89,8 @@ def test_index_blocks_split_hot_anchors(most):
     begin = offsets[rows.doc] + rows.start
     data = np.concatenate(texts)[suffix_dedup.ranges(begin, begin + size)]
     found = set()
-    for part, block, ends in suffix_dedup.index_blocks(rows, data, np.concatenate([[0], np.cumsum(size)]), 100, most):
-        phrase, place = suffix_dedup.RunLengthIndex(block, ends, 100).stream()
+    for part, block, ends, times in suffix_dedup.index_blocks(rows, data, np.concatenate([[0], np.cumsum(size)]), 100, most, np.ones(len(rows), np.int64)):
+        phrase, place = suffix_dedup.RunLengthIndex(block, ends, 100, times).stream()
         found |= set(zip(part.doc[phrase].tolist(), (part.start[phrase] + place).tolist()))
     seen, wanted = set(), set()
     for i, t in enumerate(texts):
@@ -108,6 +108,9 @@ def test_run_length_index_counts_patterns():
     for pattern in (b"a", b"ana", b"ban", b"nd", b"aaaa", b"x", b"anas", b"dana"):
         assert index.count(pattern) == sum(p.startswith(pattern, i) for p in phrases for i in range(len(p)))
     assert index.heads.size < index.rows
+    twice = suffix_dedup.RunLengthIndex(data, np.cumsum([0, *map(len, phrases)]), 7, np.array([2, 1, 1, 3, 5]))
+    assert twice.heads.size == index.heads.size and twice.rows == sum(k * (len(p) + 1) for k, p in zip((2, 1, 1, 3, 5), phrases, strict=True))
+    assert [twice.count(x) for x in (b"ana", b"a", b"ban")] == [2 * 2 + 2 + 1, 6 + 3 + 3 + 20, 3]
 
 
 def plain_lines(rows, min_words=20):
@@ -298,3 +301,58 @@ def test_overlaps_and_block_links_equal_brute_force(spark, dense):
     found = [(r.u, r.v) for r in jaccard.block_links(lists, held, 80, members=20).collect()]
     x, y = np.array(found).T
     assert (simhash.labels_of(u, v, 90) == simhash.labels_of(x, y, 90)).all() and len(set(simhash.labels_of(u, v, 90))) > 5
+
+
+def test_matching_statistics_equal_brute_force():
+    rnd = random.Random(3)
+    base = bytes(rnd.choice(b"ab") for _ in range(60))
+    texts = [base[rnd.randint(0, 20) : rnd.randint(30, 60)] + bytes(rnd.choice(b"abc") for _ in range(rnd.randint(0, 9))) for _ in range(40)] + [b"", b"a", base, base]
+    index = suffix_dedup.RunLengthIndex(np.frombuffer(b"".join(texts), np.uint8), np.cumsum([0, *map(len, texts)]), 7)
+    places = [(i, p) for i, t in enumerate(texts) for p in range(len(t))]
+
+    def common(a, b):
+        return next((k for k, (x, y) in enumerate(zip(a, b, strict=False)) if x != y), min(len(a), len(b)))
+
+    wanted = [max(common(texts[i][p:], texts[j][q:]) for j, q in places if (i, p) != (j, q)) for i, p in places]
+    assert index.statistics(np.array([i * index.width + p for i, p in places])).tolist() == wanted
+    earlier, seen = [], set()
+    for i, p in places:
+        w = texts[i][p : p + 7]
+        earlier += [(i, p)] if len(w) == 7 and w in seen else []
+        seen.add(w)
+    assert list(zip(*(x.tolist() for x in index.stream()), strict=True)) == earlier
+
+
+def test_index_of_copies_is_as_large_as_its_runs():
+    rnd = np.random.default_rng(8)
+    base = rnd.integers(97, 123, 300).astype(np.uint8)
+    arrays = lambda copies: [x for x in vars(suffix_dedup.RunLengthIndex(np.tile(base, copies), np.arange(copies + 1) * 300, 100)).values() if isinstance(x, np.ndarray)]
+    few, many = ({max(map(len, arrays(copies)))} for copies in (10, 100))
+    assert max(many) <= max(few) + 2 * 90 < 1000  # a run for each phrase's start and end, none for its 300 bytes
+
+
+def test_marks_rest_on_bytes_not_on_names(spark, monkeypatch):
+    rows = list(enumerate(repetitive(6)))
+    whole = suffix_dedup.phrases
+    monkeypatch.setattr(suffix_dedup, "phrases", lambda *a: (*whole(*a)[:5], whole(*a)[5] * 0 + 7))
+    batch = suffix_dedup.fill(["doc", "tie", "text"], ["int64", "int64", "string"], [[i for i, _ in rows], [0] * len(rows), [t for _, t in rows]])
+    dealt = list(suffix_dedup.find_phrases(100)([batch]))
+    marks = [(d, a >> 16, n >> 32) for b in dealt for n, d, a in zip(*(b.column(c).to_pylist() for c in (1, 2, 3)), strict=True) if a & 1]
+    seen = {}
+    for i, t in rows:
+        for p in range(len(t.encode()) - 99):
+            seen.setdefault(t.encode()[p : p + 100], (i, p))
+    assert marks and all(seen[rows[d][1].encode()[p : p + 100]] < (d, p) for d, s, n in marks for p in range(s, s + n))
+
+
+def test_most_marks_come_through_the_index(spark):
+    rows = [(i, t) for i, t in enumerate(repetitive(9, 120))]
+    docs = suffix_dedup.keyed(table(spark, rows)).select("doc", "tie", "text").repartition(24)
+    notes = docs.mapInArrow(suffix_dedup.find_phrases(100), suffix_dedup.DEALT)
+    own = notes.filter("at % 2 = 1").selectExpr("sum(shiftright(name, 32)) as n").first()["n"] or 0
+    seen, every = set(), 0
+    for _, t in rows:
+        for p in range(len(t.encode()) - 99):
+            every += t.encode()[p : p + 100] in seen
+            seen.add(t.encode()[p : p + 100])
+    assert own < every / 2
