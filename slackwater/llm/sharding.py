@@ -3,9 +3,9 @@
 The tree starts with all rows and splits at distributed weighted medians: a node that stands for k shards is cut along
 its widest dimension (source, language, length, place in the table) where floor(k / 2) / k of its bytes lie to the left,
 until every leaf is one shard of the target bytes. Medians come from histograms that are refined until the bucket that
-holds the cut is negligible; only those histograms, of a fixed size, reach the driver. Equal texts are one unit with
-one place and stay together, unless their bytes exceed both `whole` of a shard and the longest text: then the group is cut
-by document into parts of about that size, so that no group of copies makes a shard larger than the others.
+holds the cut is negligible; only those histograms, of a fixed size, reach the driver. Sources and languages have their
+dense rank among all values as their place, so that an axis is as wide as the share of its values that a node spans.
+Equal texts are one unit with one place and stay together; a group that no shard can hold is dealt out by document.
 
 Rows: a null text has the size of its row alone; null metadata sort first; repeated rows each have a slot of their own;
 an empty table gives no rows; other columns are ignored.
@@ -45,23 +45,36 @@ def leaves(node: Node) -> list[Node]:
     return [node] if node.left is None else leaves(node.left) + leaves(node.right)
 
 
-def placed(docs: DataFrame, shards: int, row_bytes: int, whole: float) -> tuple[DataFrame, int]:
+def dense_ranks(values: DataFrame, name: str, buckets: int = 1024) -> DataFrame:
+    """The distinct values of a column, each with a rank from 0 without gaps, and their number. Values are numbered within
+    buckets by hash; only the sizes of those meet in one place."""
+    each = scratch(values.select(name).distinct().withColumn("bucket", F.pmod(F.xxhash64(name), F.lit(buckets))))
+    sizes = each.groupBy("bucket").agg(F.count("*").alias("n"))
+    order = Window.orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
+    sizes = sizes.select("bucket", F.coalesce(F.sum("n").over(order), F.lit(0)).alias("shift"), F.sum("n").over(Window.partitionBy(F.lit(1))).alias("count"))
+    return each.withColumn("at", F.row_number().over(Window.partitionBy("bucket").orderBy(name)) - 1).join(F.broadcast(sizes), "bucket").select(name, (F.col("at") + F.col("shift")).alias("rank"), "count")
+
+
+def placed(docs: DataFrame, shards: int, row_bytes: int) -> tuple[DataFrame, int]:
     """A narrow table with the place of every row on each axis, and the bytes of all rows."""
     text = F.coalesce(F.col("text"), F.lit(""))
     rows = scratch(docs.select("doc_id", (F.octet_length(text) + row_bytes).cast("long").alias("size"), F.crc32(F.encode(text, "utf-8")).alias("text_crc32"), F.xxhash64(text).alias("key"), "source", "lang"))
     every, longest, last = rows.agg(F.sum("size"), F.max("size"), F.max("doc_id")).first()
     group = scratch(rows.groupBy("key").agg(F.sum("size").alias("group_bytes"), F.min(F.struct("doc_id", "source", "lang")).alias("first")))
-    parts = F.ceil(F.col("group_bytes") / F.lit(float(max(1, longest or 0, (every or 0) / shards * whole))))
+    # by document: into so many parts that each is a fiftieth of a shard or so, or one document
+    parts = F.when(F.col("group_bytes") > (every or 0) / shards, F.ceil(F.col("group_bytes") * shards * 50 / F.lit(float(max(1, every or 0))))).otherwise(1)
     part = F.when(parts > 1, F.pmod(spread("doc_id", "size"), parts)).otherwise(F.lit(0))
     top = 1 << BITS
     unit = F.pmod(F.xxhash64("key", part), F.lit(top))
     share = lambda c, most: F.least(F.floor(c * (top - 1) / F.lit(float(max(1, most or 1)))), F.lit(top - 1))
     axes = {
-        "by_source": F.pmod(F.xxhash64("first.source"), F.lit(top)),
-        "by_language": F.pmod(F.xxhash64("first.lang"), F.lit(top)),
+        **{f"by_{c}": F.floor(F.col(f"{c}_rank") * (top - 1) / F.greatest(F.col(f"{c}_count") - 1, F.lit(1))).cast("long") for c in ("source", "language")},
         "by_length": share(F.log2(F.col("size").cast("double")), int((longest or 1).bit_length())),
         "by_place": share(F.greatest(F.coalesce(F.col("first.doc_id"), F.lit(0)), F.lit(0)).cast("double"), last),
     }
+    for c, name in (("source", "source"), ("language", "lang")):
+        ranks = dense_ranks(group.select(F.coalesce(f"first.{name}", F.lit("")).alias(name)), name)
+        group = group.withColumn(name, F.coalesce(f"first.{name}", F.lit(""))).join(ranks.select(name, F.col("rank").alias(f"{c}_rank"), F.col("count").alias(f"{c}_count")), name)
     joined = rows.select("doc_id", "size", "text_crc32", "key").join(group, "key")
     return scratch(joined.select("doc_id", "size", "text_crc32", *((F.coalesce(axes[a], F.lit(0)).cast("long") * top + unit).alias(a) for a in AXES))), every or 0
 
@@ -111,9 +124,9 @@ def grow(rows: DataFrame, shards: int, every: int, buckets: int = 2048, slack: f
     return root
 
 
-def shard(docs: DataFrame, shards: int = 40, row_bytes: int = 16, whole: float = 0.02, slot_rows: int = 1000) -> DataFrame:
+def shard(docs: DataFrame, shards: int = 40, row_bytes: int = 16, slot_rows: int = 1000) -> DataFrame:
     """One row for each row of docs (doc_id, text, source, lang) with its shard and its slot there."""
-    rows, every = placed(docs, shards, row_bytes, whole)
+    rows, every = placed(docs, shards, row_bytes)
     root = grow(rows, shards, every)
     names = {id(n): i for i, n in enumerate(leaves(root))}
     # slots are numbered within small buckets of a shard, then shifted by what the buckets before hold

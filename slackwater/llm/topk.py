@@ -1,9 +1,14 @@
 """Exact top-k search by inner product with MaxScore.
 
 Every dimension is a term with a posting list of one weight for each vector. In a shard, a term's bound for a query is
-the most that any of its postings can add. Terms of large bounds are essential and are traversed for all vectors of the
-shard; vectors are then probed for the others, in descending order of bounds, only while what they have and what the
-rest could add may still reach the k-th best score. Shards are merged by score, ties by vector id.
+the most that any of its postings can add over the least. Terms are taken in ascending order of bounds: as long as all of
+them together cannot bring a vector to the k-th best score known so far, they are non-essential; the rest are essential
+and are traversed for all vectors. Vectors are then probed for the others, in descending order of bounds, only while what
+they have and what the rest could add may still reach the k-th best score.
+
+Queries are the smaller side: their blocks go to every shard. A first search, of one shard, finds a k-th best score for
+each query, which the searches of all shards start from and raise block by block of vectors. Shards are merged by score,
+ties by vector id.
 
 Rows: vectors that are null, empty or hold null or non-finite components take no part, as queries or candidates;
 missing dimensions count as zero; a repeated vec_id gives a candidate for each row, but no row of the query's own id;
@@ -50,23 +55,38 @@ class Shard:
     def __init__(self, ids: np.ndarray, x: np.ndarray):
         self.ids, self.low, self.high = ids, x.min(axis=0), x.max(axis=0)
         self.postings = np.ascontiguousarray(x.T)
-
-    def top(self, query_id: int, q: np.ndarray, k: int, essential: int = 16, step: int = 16) -> tuple[np.ndarray, np.ndarray]:
-        """Ids and scores of all vectors that may be among the k best of this shard, best first, k at most."""
+        self.products = 0  # multiplications so far
+
+    def split(self, bound: np.ndarray, missing) -> int:
+        """How many terms, in the descending order of bound, are essential if the others' sum must stay below `missing`,
+        what a vector needs beyond the least scores; all, if nothing is known."""
+        if missing is None:
+            return len(bound)
+        return int(np.count_nonzero(bound[::-1].cumsum() >= missing))
+
+    def top(self, query_id: int, q: np.ndarray, k: int, known=None, step: int = 8) -> tuple[np.ndarray, np.ndarray]:
+        """Ids and scores of all vectors that may be among the k best of this shard and reach `known`, a score that k
+        vectors have; best first, k at most."""
         n = min(len(q), len(self.postings))
         q, postings = q[:n], self.postings[:n]
         most, least = np.maximum(q * self.high[:n], q * self.low[:n]), np.minimum(q * self.high[:n], q * self.low[:n])
         order = np.argsort(-(most - least), kind="stable")
-        rest, floor = most[order][::-1].cumsum()[::-1], least[order][::-1].cumsum()[::-1]
+        rest, floor = (np.append(x[order][::-1].cumsum()[::-1], 0) for x in (most, least))
         at = np.flatnonzero(self.ids != query_id)
         score = np.zeros(len(at), q.dtype)
-        done, width = 0, essential
+        done, width = 0, self.split((most - least)[order], None if known is None else known - floor[0])
+        if known is not None and rest[0] < known:
+            at = at[:0]
         while done < n and len(at):
-            terms = order[done : done + width]
+            terms = order[done : done + max(width, 1)]
             score = score + q[terms] @ (postings[terms] if len(at) == postings.shape[1] else postings[np.ix_(terms, at)])
+            self.products += len(terms) * len(at)
             done += len(terms)
-            if done < n and len(at) > k:  # who can't reach the k-th best of the sure scores leaves
-                sure = np.partition(score, len(score) - k)[len(score) - k] + floor[done]
+            sure = known
+            if len(at) > k:  # scores that k vectors surely have
+                here = np.sort(score)[len(score) - k] if score.dtype == object else np.partition(score, len(score) - k)[len(score) - k]
+                sure = here + floor[done] if sure is None else max(sure, here + floor[done])
+            if sure is not None:
                 keep = score + rest[done] >= sure
                 at, score = at[keep], score[keep]
             width = step
@@ -83,21 +103,36 @@ def exact_type(a: np.ndarray, b: np.ndarray):
 def top_k(vectors: DataFrame, queries: DataFrame, k: int = 5, scale: int = 256, shard_rows: int = 8192, query_rows: int = 256) -> DataFrame:
     """query_id, rank, vec_id and score of the k best vectors for each query (both: vec_id, embedding)."""
     shards, asked = blocks(whole_vectors(vectors, scale), shard_rows, "shard"), blocks(whole_vectors(queries, scale), query_rows, "block")
+    kept = "query_id long, vec_id long, score long, block int"
+    found_names = ["query_id", "vec_id", "score", "block"]
 
     def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Rows: a shard and a block of queries, with the scores known for them or null."""
+        held, shard = None, None
         for batch in batches:
-            for ids, x, query_ids, y in zip(*(batch.column(c).to_pylist() for c in range(4)), strict=True):
+            for number, ids, x, block, query_ids, y, known in zip(*(batch.column(c).to_pylist() for c in range(7)), strict=True):
                 ids, query_ids = np.frombuffer(ids, np.int64), np.frombuffer(query_ids, np.int64)
                 x, y = np.frombuffer(x, np.int64).reshape(len(ids), -1), np.frombuffer(y, np.int64).reshape(len(query_ids), -1)
                 kind = exact_type(x, y)
-                shard = Shard(ids, x.astype(kind))
-                found = [shard.top(query_id, q, k) for query_id, q in zip(query_ids.tolist(), y.astype(kind), strict=True)]
-                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(query_ids, [len(f[0]) for f in found]), pa.int64()), pa.array(np.concatenate([f[0] for f in found]), pa.int64()), pa.array([int(s) for f in found for s in f[1]], pa.int64())], names=["query_id", "vec_id", "score"])
-
-    # every shard meets every block of the stated queries once
-    count, last = asked.agg(F.count("*"), F.max("block")).first()
-    met = shards.withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(last or 0)))).join(asked, "block")
-    parts = max(1, min(shards.count() * count, 4 * split_count(vectors.sparkSession)))
-    found = met.select("shard_ids", "shard_x", "block_ids", "block_x").repartition(parts).mapInArrow(search, "query_id long, vec_id long, score long")
+                if (number, kind) != held:
+                    held, shard = (number, kind), Shard(ids, x.astype(kind))
+                known = {r["query_id"]: r["score"] for r in known or []}
+                found = [shard.top(query_id, q, k, known.get(query_id)) for query_id, q in zip(query_ids.tolist(), y.astype(kind), strict=True)]
+                count = [len(f[0]) for f in found]
+                columns = [np.repeat(query_ids, count), np.concatenate([f[0] for f in found]), [int(s) for f in found for s in f[1]], np.full(sum(count), block)]
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, [pa.int64()] * 3 + [pa.int32()], strict=True)], names=found_names)
+
     best = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
+    count, last = shards.agg(F.count("*"), F.max("shard")).first()
+    n_blocks = asked.count()
+    pair = ["shard", "shard_ids", "shard_x", "block", "block_ids", "block_x", "known"]
+    # the first search: each block meets one shard, the blocks shards in turn
+    first = asked.join(shards, F.pmod("block", F.lit((last or 0) + 1)) == F.col("shard")).withColumn("known", F.lit(None).cast("array<struct<query_id: bigint, score: bigint>>"))
+    known = first.select(*pair).repartition(max(1, n_blocks)).mapInArrow(search, kept).withColumn("rank", F.row_number().over(best)).filter(F.col("rank") == k)
+    asked = scratch(asked.join(known.groupBy("block").agg(F.collect_list(F.struct("query_id", "score")).alias("known")), "block", "left"))
+    # every shard meets every block of the stated queries once; few shards are dealt out several times, each with a part of the blocks
+    parts = max(1, min(n_blocks, -(-split_count(vectors.sparkSession) // max(1, count))))
+    dealt = asked.withColumn("shard", F.explode(F.sequence(F.lit(0), F.lit(last or 0)))).withColumn("part", F.pmod("block", F.lit(parts)).cast("int"))
+    held = shards.withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(parts - 1))))
+    found = held.hint("merge").join(dealt, ["shard", "part"]).select(*pair).mapInArrow(search, kept)
     return found.withColumn("rank", F.row_number().over(best)).filter(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")

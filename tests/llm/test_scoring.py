@@ -1,6 +1,7 @@
 """Toxicity, quality rules, top-k and sharding."""
 
 import collections
+import itertools
 import math
 import random
 import re
@@ -191,12 +192,40 @@ def test_maxscore_skips_and_stays_exact():
     x = np.zeros((5000, 64))
     x[:, :4] = rng.integers(-200, 200, (5000, 4))
     x[:, 4:] = rng.integers(-3, 3, (5000, 60))
-    shard = topk.Shard(np.arange(5000), x)
+    shard, told = topk.Shard(np.arange(5000), x), topk.Shard(np.arange(5000), x)
     for q in x[:20]:
-        ids, score = shard.top(-1, q, 5)
         every = x @ q
         best = np.lexsort((np.arange(5000), -every))[:5]
-        assert ids.tolist() == best.tolist() and score.tolist() == every[best].tolist()
+        for s, known in ((shard, None), (told, every[best[-1]])):
+            ids, score = s.top(-1, q, 5, known)
+            assert ids.tolist() == best.tolist() and score.tolist() == every[best].tolist()
+    # without a known score all terms are essential; with one, few are
+    assert shard.products == 20 * x.size and told.products < x.size
+
+
+def test_essential_terms_follow_the_known_score():
+    shard = topk.Shard(np.arange(2), np.array([[1.0, 2.0, 3.0], [0.0, 0.0, 0.0]]))
+    bound = np.array([9.0, 4.0, 1.0])
+    assert [shard.split(bound, m) for m in (None, 0.5, 1, 2, 5, 6, 14, 15)] == [3, 3, 3, 2, 2, 1, 1, 0]
+
+
+def test_top_k_of_repeated_and_null_ids_and_huge_weights(spark):
+    rows = [(0, [1.0, 2.0]), (0, [-1.0, 5.0]), (None, [9.0, 9.0]), (1, [3.0, 1.0]), (1, [3.0, 1.0]), (2, [0.5]), (3, [2.0, 2.0, 7.0])]
+    vectors = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    made = [(r["query_id"], r["rank"], r["vec_id"], r["score"]) for r in topk.top_k(vectors, vectors.filter("vec_id % 50 = 0"), shard_rows=2).orderBy("query_id", "rank").collect()]
+    each = sorted((-sum(math.floor(256 * a) * math.floor(256 * b) for a, b in zip(q, x)), i) for n, q in rows if n == 0 for i, x in rows if i)
+    assert made == [(0, k + 1, i, -s) for k, (s, i) in enumerate(each[:5])]
+    huge = spark.createDataFrame([(i, [2.0**20 + i, 2.0**21 - i]) for i in range(60)], "vec_id long, embedding array<double>")
+    assert sorted(tuple(r) for r in topk.top_k(huge, huge.filter("vec_id % 50 = 0"), shard_rows=16).collect()) == plain_top_exact([(r.vec_id, r.embedding) for r in huge.collect()])
+
+
+def plain_top_exact(rows, k=5):
+    vectors = [(i, [math.floor(256 * x) for x in v]) for i, v in rows]
+    out = []
+    for q, x in vectors:
+        if q % 50 == 0:
+            out += [(q, n + 1, i, -s) for n, (s, i) in enumerate(sorted((-sum(a * b for a, b in zip(x, y)), i) for i, y in vectors if i != q)[:k])]
+    return sorted(out)
 
 
 # ---- sharding ----
@@ -227,3 +256,34 @@ def test_few_rows(spark):
     docs = spark.createDataFrame([(1, "a", "s", "en"), (2, "b", None, None)], "doc_id long, text string, source string, lang string")
     made = sharding.shard(docs, 40).collect()
     assert sorted(r.doc_id for r in made) == [1, 2] and all(0 <= r.shard < 40 and r.slot == 0 or r.slot == 1 for r in made)
+
+
+def test_cuts_are_weighted_medians_along_the_widest_axis(spark):
+    rnd = random.Random(12)
+    rows = [(i, "x" * int(rnd.expovariate(0.01)), f"s{rnd.randint(0, 9)}", rnd.choice(["en", "fr", "de"])) for i in range(900)] + [(None, "whole", None, None)] * 3
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string, lang string")
+    placed, every = sharding.placed(docs, 7, 16)
+    root = sharding.grow(placed, 7, every)
+    places = placed.collect()
+
+    def check(node, inside):
+        if node.left is None:
+            return
+        width = {a: (max(r[a] for r in inside) >> sharding.BITS) - (min(r[a] for r in inside) >> sharding.BITS) for a in sharding.AXES}
+        assert width[node.axis] == max(width.values())
+        want, left = sum(r["size"] for r in inside) * (node.shards // 2) / node.shards, [r for r in inside if r[node.axis] <= node.cut]
+        units = collections.Counter()
+        for r in inside:
+            units[r[node.axis]] += r["size"]
+        sums = [0, *itertools.accumulate(units[v] for v in sorted(units))]
+        assert abs(sum(r["size"] for r in left) - want) <= min(abs(x - want) for x in sums) + every / 7 * 0.001
+        check(node.left, left)
+        check(node.right, [r for r in inside if r[node.axis] > node.cut])
+
+    check(root, places)
+    assert len(sharding.leaves(root)) == 7
+
+
+def test_dense_ranks(spark):
+    ranks = sharding.dense_ranks(spark.createDataFrame([(c,) for c in "abcdeabc"] + [("",)], "v string"), "v", buckets=2).collect()
+    assert sorted(r["rank"] for r in ranks) == list(range(6)) and {r["count"] for r in ranks} == {6}
