@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from .quality import COMMON, OTHER, PUNCTUATION, SYMBOLS
+from .quality import OTHER, PUNCTUATION, SYMBOLS
 
 _WHITE = "' ' || chr(9) || chr(10) || chr(11) || chr(12) || chr(13)"
 _GAP = r"'[\x20\x09-\x0D]+'"
@@ -57,17 +57,19 @@ r as (select *, row_number() over (partition by query_id order by score desc, ve
 select query_id, rank, vec_id, score from r where rank <= 5"""
 
 
-def distribution_divergence(guard_words: int = 50, class_limit: float = 0.2, word_limit: float = 0.45) -> str:
-    lists = " ".join(f"when {_quoted(k)} then [{', '.join(map(_quoted, v))}]" for k, v in COMMON.items())
-    pooled = sorted({w for x in COMMON.values() for w in x[:3]})
+def distribution_divergence(guard_words: int = 50, class_spread: float = 4.0, word_share: float = 0.9, least_docs: int = 20, n_common: int = 12) -> str:
     without = lambda c, chars: f"(length({c}) - length(translate({c}, {_quoted(chars)}, '')))"
     jsd = lambda a, b: f"sqrt(greatest(list_sum(list_transform(list_zip({a}, {b}), lambda z: (case when z[1] > 0 then z[1] * log2(z[1] / ((z[1] + z[2]) / 2)) else 0 end) + (case when z[2] > 0 then z[2] * log2(z[2] / ((z[1] + z[2]) / 2)) else 0 end))) / 2, 0))"
     mean = lambda c: f"(select language, list(x order by k) as {c}_reference from (select language, k, avg(x) as x from (select language, unnest({c}) as x, generate_subscripts({c}, 1) as k from s where not base_failed) group by language, k) group by language)"
+    none = "list_transform(common_reference, lambda x, i: case when i = len(common_reference) then 1.0::double else 0.0::double end)"
     return f"""
-with t as (select doc_id, coalesce(text, '') as text, case when lang in ({', '.join(map(_quoted, COMMON))}) then lang else '{OTHER}' end as language from documents),
-w as (select *, list_filter(regexp_split_to_array(text, {_GAP}), lambda x: x <> '') as words, translate(text, {_WHITE}, '') as solid,
-  list_filter(string_split(text, chr(10)), lambda x: trim(x, {_WHITE}) <> '') as lines,
-  case language {lists} else [{', '.join(map(_quoted, pooled))}] end as listed from t),
+with own as (select lang from documents where lang is not null group by lang having count(*) >= {least_docs} order by count(*) desc, lang limit 256),
+t as (select doc_id, coalesce(text, '') as text, coalesce(own.lang, '{OTHER}') as language from documents d left join own on d.lang = own.lang),
+x as (select *, list_filter(regexp_split_to_array(text, {_GAP}), lambda x: x <> '') as words, translate(text, {_WHITE}, '') as solid,
+  list_filter(string_split(text, chr(10)), lambda x: trim(x, {_WHITE}) <> '') as lines from t),
+c as (select language, word, count(*) as n from (select language, lower(unnest(words)) as word from x) group by language, word),
+li as (select language, list(word order by r) as listed from (select *, row_number() over (partition by language order by n desc, word) as r from c) where r <= {n_common} group by language),
+w as (select x.*, coalesce(listed, []) as listed from x left join li using (language)),
 g as (select doc_id, i, words[i] || ' ' || words[i + 1] || ' ' || words[i + 2] as s from (select doc_id, words, unnest(range(1, greatest(len(words) - 1, 1))) as i from w)),
 o as (select doc_id, count(distinct j) as n from (select doc_id, unnest([i, i + 1, i + 2]) as j from (select *, count(*) over (partition by doc_id, s) as c from g) where c > 1) group by doc_id),
 b as (select w.doc_id, language, len(words)::bigint as n_words, length(solid)::bigint as word_chars, length(text)::bigint as n_chars, {without('solid', SYMBOLS)}::bigint as n_symbols,
@@ -77,8 +79,10 @@ s as (select doc_id, language, n_words, word_chars, n_symbols, n_dup_lines, n_re
   list_transform([word_chars - n_symbols - digits - marks, digits, marks, n_symbols, n_chars - word_chars], lambda x: case when n_chars > 0 then x / n_chars::double else 0 end) as classes,
   list_transform(list_append(common, n_words - coalesce(list_sum(common), 0)::bigint), lambda x: case when n_words > 0 then x / n_words::double else 0 end) as common,
   n_words < 50 or 100 * n_repeat_words > 50 * n_words as base_failed from b),
-j as (select s.*, {jsd('classes', 'classes_reference')} as class_distance, {jsd('common', 'common_reference')} as word_distance
-  from s left join {mean('classes')} using (language) left join {mean('common')} using (language))
+j as (select s.*, {jsd('classes', 'classes_reference')} as class_distance, {jsd('common', 'common_reference')} as word_distance, {word_share} * {jsd(none, 'common_reference')} as word_limit
+  from s left join {mean('classes')} using (language) left join {mean('common')} using (language)),
+k as (select language, avg(class_distance) + {class_spread} * coalesce(stddev_pop(class_distance), 0) as class_limit from j where not base_failed group by language)
 select doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed,
-  not base_failed and not coalesce((class_distance > {class_limit} or word_distance > {word_limit}) and n_words >= {guard_words}, false) as kept,
-  round(class_distance, 6) as class_distance, round(word_distance, 6) as word_distance from j"""
+  not base_failed and not coalesce((class_distance > class_limit or word_distance > word_limit) and n_words >= {guard_words}, false) as kept,
+  round(class_distance, 6) as class_distance, round(word_distance, 6) as word_distance, round(class_limit, 6) as class_limit, round(word_limit, 6) as word_limit
+from j left join k using (language)"""

@@ -1,29 +1,27 @@
 """Quality rules by distribution divergence, in DataFrame functions alone.
 
-Every text has two histograms: over character classes, and over common words of its language. References are the means
-of those histograms over all documents that pass the base rules, one for each language with a list below and one for
-all others. A text is rejected if the Jensen-Shannon distance (base 2, 0 to 1) of either histogram to the reference is
-too large. Guards: texts with fewer words than `guard_words` are judged by the base rules alone.
-
-Rows: a null text has no words and fails the base rules; texts of other or null languages use the pooled reference;
-with no reference (an empty table, or no passing text) nothing is rejected by divergence; repeated rows are judged
-each; other columns are ignored.
+Every text has two histograms: over character classes, and over the common words of its language, which are learned: the
+words that are most frequent in all texts of that language. References are the means of those histograms over all
+documents that pass the base rules. Languages of `least_docs` documents or more have lists and references of their own
+(the 256 of most documents), all others share one. A text is rejected if the Jensen-Shannon distance (base 2, 0 to 1) of
+either histogram to the reference is too large. Both limits come from the references: for classes, `class_spread` standard
+deviations beyond the mean distance of the documents that made it; for words, `word_share` of the distance that a text
+without any common word has. Guards: texts with fewer words than `guard_words` are judged by the base rules alone.
+
+Rows: a null text has no words and fails the base rules; null languages belong to the shared list; with no reference (an
+empty table, or no passing text) nothing is rejected by divergence; repeated rows are judged each; other columns are
+ignored.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+import re
+
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import GAP, WHITE, scratch
 
-# Frequent function words of each language.
-COMMON = {
-    "en": ["the", "of", "and", "to", "in", "is", "that", "for", "it", "as", "was", "with"],
-    "fr": ["de", "la", "le", "et", "les", "des", "en", "un", "une", "du", "que", "qui"],
-    "de": ["der", "die", "und", "in", "den", "von", "zu", "das", "mit", "ein", "eine", "nicht"],
-    "es": ["de", "la", "que", "el", "en", "y", "a", "los", "se", "del", "las", "un"],
-}
 OTHER = "*"
 SYMBOLS = "#*$%&|<>"
 """The characters counted as symbols."""
@@ -74,31 +72,43 @@ def distance(p: Column, q: Column) -> Column:
     return F.sqrt(F.greatest(F.aggregate(both, F.lit(0.0), lambda s, x: s + x) / 2, F.lit(0.0)))
 
 
-def features(docs: DataFrame) -> DataFrame:
+def by_language(docs: DataFrame, least_docs: int, most_languages: int = 256) -> DataFrame:
+    """doc_id, text (never null) and language, which is OTHER for all that have no list of their own."""
+    own = docs.filter("lang is not null").groupBy("lang").agg(F.count("*").alias("n")).filter(F.col("n") >= least_docs)
+    own = own.orderBy(F.desc("n"), "lang").limit(most_languages).select("lang", F.col("lang").alias("language"))
+    df = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"), "lang").join(F.broadcast(own), "lang", "left")
+    return df.select("doc_id", "text", F.coalesce("language", F.lit(OTHER)).alias("language"))
+
+
+def common_words(df: DataFrame, count: int) -> DataFrame:
+    """language and listed: its `count` most frequent words in lower case, ties in the order of words."""
+    words = df.select("language", F.explode(words_of(F.lower("text"))).alias("word")).groupBy("language", "word").agg(F.count("*").alias("n"))
+    order = Window.partitionBy("language").orderBy(F.desc("n"), "word")
+    best = words.withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= count)
+    return best.groupBy("language").agg(F.sort_array(F.collect_list(F.struct("rank", "word"))).alias("a")).select("language", F.transform("a", lambda s: s["word"]).alias("listed"))
+
+
+def features(docs: DataFrame, least_docs: int = 20, n_common: int = 12) -> DataFrame:
     """Base counts and both histograms of every text."""
-    text = F.coalesce(F.col("text"), F.lit(""))
-    without = lambda c, chars: F.length(c) - F.length(F.translate(c, chars, ""))
-    language = F.when(F.col("lang").isin(*COMMON), F.col("lang")).otherwise(F.lit(OTHER))
-    listed = F.lit(None).cast("array<string>")
-    for name, words in COMMON.items():
-        listed = F.when(F.col("language") == name, F.array(*map(F.lit, words))).otherwise(listed)
-    listed = F.coalesce(listed, F.array(*map(F.lit, sorted({w for x in COMMON.values() for w in x[:3]}))))
-    df = docs.select("doc_id", text.alias("text"), language.alias("language"))
-    df = df.withColumns({"words": words_of(F.col("text")), "solid": F.translate("text", WHITE, ""), "listed": listed})
+    df = by_language(docs, least_docs)
+    lists = scratch(common_words(df, n_common))
+    df = df.join(F.broadcast(lists), "language", "left").withColumns({"words": words_of(F.col("text")), "listed": F.coalesce("listed", F.array().cast("array<string>"))})
 
     def split_counts(words: Column) -> Column:
         found = F.filter(F.transform(words, F.lower), lambda w: F.array_contains(F.col("listed"), w))
         return let(found, lambda f: F.transform(F.col("listed"), lambda c: F.size(F.filter(f, lambda w: w == c))))
 
+    number = lambda chars: F.regexp_count("text", F.lit("[" + re.escape(chars) + "]")).cast("long")
+    n_chars = F.length("text").cast("long")
     df = df.select(
         "doc_id",
         "language",
         F.size("words").cast("long").alias("n_words"),
-        F.length("solid").cast("long").alias("word_chars"),
-        F.length("text").cast("long").alias("n_chars"),
-        without(F.col("solid"), SYMBOLS).cast("long").alias("n_symbols"),
-        without(F.col("solid"), "0123456789").alias("digits"),
-        without(F.col("solid"), PUNCTUATION).alias("marks"),
+        (n_chars - number(WHITE)).alias("word_chars"),
+        n_chars.alias("n_chars"),
+        number(SYMBOLS).alias("n_symbols"),
+        number("0123456789").alias("digits"),
+        number(PUNCTUATION).alias("marks"),
         let(F.filter(F.split("text", "\n"), lambda x: F.btrim(x, F.lit(WHITE)) != ""), lambda x: F.size(x) - F.size(F.array_distinct(x))).cast("long").alias("n_dup_lines"),
         repeated_words(F.col("words")).alias("n_repeat_words"),
         split_counts(F.col("words")).alias("common"),
@@ -115,16 +125,22 @@ def features(docs: DataFrame) -> DataFrame:
 
 
 def references(df: DataFrame) -> DataFrame:
-    """The mean histograms by language, at most one row for each list and one for the rest."""
+    """The mean histograms by language, at most one row for each list."""
     base = df.filter(~F.col("base_failed"))
     means = lambda name: base.select("language", F.posexplode(name).alias("k", "x")).groupBy("language", "k").agg(F.avg("x").alias("x")).groupBy("language").agg(F.array_sort(F.collect_list(F.struct("k", "x"))).alias("a")).select("language", F.transform("a", lambda s: s["x"]).alias(f"{name}_reference"))
     return means("classes").join(means("common"), "language")
 
 
-def judge(docs: DataFrame, guard_words: int = 50, class_limit: float = 0.2, word_limit: float = 0.45) -> DataFrame:
-    """Base counts, both distances and the verdict for every row of docs (doc_id, text, lang)."""
-    df = scratch(features(docs))
-    df = df.join(F.broadcast(references(df)), "language", "left")
-    far = (F.col("class_distance") > class_limit) | (F.col("word_distance") > word_limit)
+def judge(docs: DataFrame, guard_words: int = 50, class_spread: float = 4.0, word_share: float = 0.9, least_docs: int = 20) -> DataFrame:
+    """Base counts, both distances with their limits, and the verdict for every row of docs (doc_id, text, lang)."""
+    df = scratch(features(docs, least_docs))
+    known = scratch(references(df))
+    df = df.join(F.broadcast(known), "language", "left")
     df = df.withColumns({f"{short}_distance": distance(F.col(name), F.col(f"{name}_reference")) for short, name in (("class", "classes"), ("word", "common"))})
-    return df.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", (~F.col("base_failed") & ~F.coalesce(far & (F.col("n_words") >= guard_words), F.lit(False))).alias("kept"), "class_distance", "word_distance")
+    limits = df.filter(~F.col("base_failed")).groupBy("language").agg((F.avg("class_distance") + class_spread * F.coalesce(F.stddev_pop("class_distance"), F.lit(0.0))).alias("class_limit"))
+    none = F.transform("common_reference", lambda x, i: F.when(i == F.size("common_reference") - 1, 1.0).otherwise(0.0))
+    words = known.select("language", (word_share * distance(none, F.col("common_reference"))).alias("word_limit"))
+    df = df.join(F.broadcast(limits.join(words, "language")), "language", "left")
+    far = (F.col("class_distance") > F.col("class_limit")) | (F.col("word_distance") > F.col("word_limit"))
+    kept = ~F.col("base_failed") & ~F.coalesce(far & (F.col("n_words") >= guard_words), F.lit(False))
+    return df.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", kept.alias("kept"), "class_distance", "word_distance", "class_limit", "word_limit")

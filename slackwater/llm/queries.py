@@ -45,13 +45,7 @@ def op5_maxscore_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op6_distribution_divergence(spark: SparkSession, sf_dir: str) -> DataFrame:
     df = quality.judge(documents(spark, sf_dir))
-    return df.withColumns({c: F.round(c, 6) for c in ("class_distance", "word_distance")})
-
-
-def op6_distribution_divergence_common_words(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """op6 with a word limit below the distance of a text without common words, 0.30 here."""
-    df = quality.judge(documents(spark, sf_dir), word_limit=0.27)
-    return df.withColumns({c: F.round(c, 6) for c in ("class_distance", "word_distance")})
+    return df.withColumns({c: F.round(c, 6) for c in ("class_distance", "word_distance", "class_limit", "word_limit")})
 
 
 def op7_kd_tree_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -70,12 +64,11 @@ def op10_binary_output(spark: SparkSession, sf_dir: str) -> DataFrame:
     return binary_output.matrices(documents(spark, sf_dir), RANKS, PATTERN)
 
 
-QUERIES = {f.__name__: f for f in (op1_cost_balanced_packing, op2_run_length_index, op3_line_suffix_array, op4_subsequence_kernel_toxicity, op5_maxscore_top_k, op6_distribution_divergence, op7_kd_tree_sharding, op8_prefix_bpe, op9_simhash_trie, op10_binary_output, op3_line_suffix_array_all_lines, op6_distribution_divergence_common_words)}
+QUERIES = {f.__name__: f for f in (op1_cost_balanced_packing, op2_run_length_index, op3_line_suffix_array, op4_subsequence_kernel_toxicity, op5_maxscore_top_k, op6_distribution_divergence, op7_kd_tree_sharding, op8_prefix_bpe, op9_simhash_trie, op10_binary_output, op3_line_suffix_array_all_lines)}
 ORACLES: dict[str, str] = {
     "op2_run_length_index": oracles.RUN_LENGTH_INDEX,
     "op3_line_suffix_array": oracles.line_suffix_array(),
     "op3_line_suffix_array_all_lines": oracles.line_suffix_array(min_words=1),
     "op5_maxscore_top_k": oracles.MAXSCORE,
     "op6_distribution_divergence": oracles.distribution_divergence(),
-    "op6_distribution_divergence_common_words": oracles.distribution_divergence(word_limit=0.27),
 }

@@ -124,29 +124,34 @@ def test_base_counts(spark):
     assert quality.judge(docs.filter("false")).count() == 0
 
 
-def test_divergence_tells_symbols_from_prose(spark):
-    rnd = random.Random(1)
-    words = ["the", "of", "and", "to", "river", "stone", "walks", "green", "house", "in"] + ["w" + "abcdefghij"[k % 10] + "klmnopqrst"[k // 10 % 10] * 2 for k in range(100)]
-    prose = [" ".join(rnd.choice(words) for _ in range(120)) for _ in range(40)]
-    junk = [" ".join(rnd.choice(words) + "###$" for _ in range(120)) for _ in range(4)]
-    docs = spark.createDataFrame([(i, t, "en") for i, t in enumerate(prose + junk)], "doc_id long, text string, lang string")
-    rows = {r.doc_id: r for r in quality.judge(docs).collect()}
-    assert all(rows[i].kept for i in range(40)) and not any(rows[i].kept for i in range(40, 44))
-    assert 0 <= min(r.class_distance for r in rows.values()) <= max(r.word_distance for r in rows.values()) <= 1
+def prose(rnd, n, words=300):
+    common = ["the", "of", "and", "to", "in", "is", "that", "for", "it", "as", "was", "with"]
+    other = ["w" + a + b for a in "abcdefghij" for b in "klmnopqrst"]
+    return [" ".join(rnd.choice(common) if rnd.random() < 0.25 else rnd.choice(other) for _ in range(words)) for _ in range(n)], common, other
 
 
-def test_long_text_without_common_words_is_rejected(spark, tmp_path):
-    from slackwater.llm import queries
+def test_common_words_are_learned_by_language(spark):
+    rnd = random.Random(9)
+    texts, common, _ = prose(rnd, 30)
+    rows = [(i, t, "en") for i, t in enumerate(texts)] + [(100 + i, "uno dos TRES " * 30, "es") for i in range(25)] + [(200, "solo", "xx"), (201, None, None)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    lists = {r.language: r.listed for r in quality.common_words(quality.by_language(docs, 20), 12).collect()}
+    assert set(lists["en"]) == set(common) and lists["es"] == ["dos", "tres", "uno"] and lists["*"] == ["solo"]
 
-    rnd = random.Random(5)
-    common = quality.COMMON["en"]
-    other = ["w" + a + b for a in "abcdefghij" for b in "klmnopqrst"]
-    prose = [" ".join(rnd.choice(common) if rnd.random() < 0.18 else rnd.choice(other) for _ in range(300)) for _ in range(60)]
-    rows = [(i, t, "en") for i, t in enumerate([*prose, " ".join(rnd.choice(other) for _ in range(300))])]
-    spark.createDataFrame(rows, "doc_id long, text string, lang string").write.parquet(f"{tmp_path}/documents.parquet")
-    made = {r.doc_id: r for r in queries.QUERIES["op6_distribution_divergence_common_words"](spark, str(tmp_path)).collect()}
-    assert all(made[i].kept for i in range(60))
-    assert not made[60].kept and not made[60].base_failed and made[60].class_distance < 0.2
+
+def test_each_limit_rejects_what_the_other_does_not(spark):
+    rnd = random.Random(1)
+    texts, common, other = prose(rnd, 120)
+    symbols = [" ".join(w + "###$" for w in t.split()[:150]) + " " + " ".join(rnd.choice(common) for _ in range(50)) for t in texts[:2]]
+    wordless = [" ".join(rnd.choice(other) for _ in range(300)) for _ in range(2)]
+    short = [" ".join(rnd.choice(other) for _ in range(55))]
+    docs = spark.createDataFrame([(i, t, "en") for i, t in enumerate(texts + symbols + wordless + short)], "doc_id long, text string, lang string")
+    rows = {r.doc_id: r for r in quality.judge(docs, guard_words=60).collect()}
+    assert all(rows[i].kept for i in range(120)) and not any(rows[i].kept for i in range(120, 124))
+    assert all(rows[i].class_distance > rows[i].class_limit and rows[i].word_distance < rows[i].word_limit for i in (120, 121))
+    assert all(rows[i].class_distance < rows[i].class_limit and rows[i].word_distance > rows[i].word_limit for i in (122, 123))
+    assert rows[124].word_distance > rows[124].word_limit and rows[124].kept  # fewer words than the guard
+    assert 0 <= min(r.class_distance for r in rows.values()) <= max(r.word_distance for r in rows.values()) <= 1
 
 
 def test_distance_of_equal_and_disjoint(spark):
