@@ -1,11 +1,16 @@
 """Line dedup by a suffix array over line ids, in DataFrame functions alone.
 
-Every document is a sequence of line ids (fingerprints of its lines without outer white space; blank lines are no part
-of it). Prefix doubling names the runs of 1, 2, 4, ... lines that start at each place: the name of a run of 2h lines is
-made from the names of its halves, so after each round the suffixes of one name are one interval whose longest common
-prefix is at least 2h lines. Suffixes whose name is unique are settled and leave; rounds go on until none is left. A
-run is a later copy if the same run starts earlier (smaller doc_id, or the same document and an earlier line). Lines of
-later copies of at least two lines are deleted, and of single lines with at least `min_words` words.
+Every document is a sequence of line ids (128-bit fingerprints of its lines without outer white space; blank lines are no
+part of it). Prefix doubling ranks the suffixes by their first 1, 2, 4, ... lines: the order by 2h lines is that of the
+pairs of ranks by h lines, at a suffix and h lines on. Ranks are dense and distributed: intervals of equal suffixes are
+dealt out by range, numbered within each range and shifted. Suffixes that are alone in their interval are settled and
+leave; rounds go on until none is left.
+
+The intervals give longest common prefixes: a suffix has the first h lines in common with the first place of its
+interval. From its longest such h, a suffix looks for the same interval with h/2, h/4, ... 1 lines more that an earlier
+place shares, which gives the true length of the longest run that starts there and earlier (smaller doc_id, or the same
+document and an earlier line). Lines of runs of at least `min_lines` lines are deleted, and single lines with at least
+`min_words` words.
 
 Rows: a null text has no lines and stays null; rows equal in doc_id and text count as one document and get the same
 result; null doc_ids come first; an empty table gives no rows; other columns are ignored.
@@ -27,47 +32,82 @@ def line_places(docs: DataFrame) -> DataFrame:
     bare = lambda x: F.btrim(x, F.lit(WHITE))
     numbered = F.filter(F.transform(F.split("text", "\n"), lambda x, i: F.struct(i.alias("at"), bare(x).alias("line"))), lambda s: s["line"] != "")
     df = docs.filter("text is not null").select("doc_id", F.xxhash64("text").alias("text_hash"), F.posexplode(numbered).alias("pos", "s"))
-    return df.select(*KEY, "pos", F.col("s.at").alias("at"), F.xxhash64("s.line").alias("name"), F.size(F.split("s.line", GAP)).alias("n_words"))
-
-
-def is_later(place: Column, first: Column) -> Column:
-    return place > first
-
-
-def repeated_suffixes(lines: DataFrame, min_lines: int, min_words: int, max_rounds: int = 40) -> list[DataFrame]:
-    """After each round, the suffixes that are later copies: KEY, pos, at, run (lines known to repeat)."""
-    active, found, h = lines, [], 1
-    place = F.struct(*KEY, "pos")
-    for _ in range(max_rounds):
-        # the interval of each name that has more than one suffix, with its first suffix
-        intervals = scratch(active.groupBy("name").agg(F.count("*").alias("n"), F.min(place).alias("first")).filter("n > 1"))
-        if intervals.isEmpty():
-            break
-        active = scratch(active.join(intervals, "name").withColumn("later", is_later(place, F.col("first"))).drop("first", "n"))
-        wanted = active.filter("later") if h >= min_lines else active.filter(F.col("later") & (F.col("n_words") >= min_words))
-        found.append(wanted.select(*KEY, "pos", F.lit(h).alias("run")))
-        reach = Window.partitionBy(*KEY).orderBy("pos").rangeBetween(h, h)
-        pair = active.select(*KEY, "pos", "n_words", "name", F.first("name").over(reach).alias("next"))
-        active = pair.filter("next is not null").select(*KEY, "pos", "n_words", F.xxhash64("name", "next").alias("name"))
-        h *= 2
-    return found
-
-
-def dedup_lines(docs: DataFrame, min_lines: int = 2, min_words: int = 20) -> DataFrame:
-    """docs (doc_id, text and any others; those named as in TAKEN are replaced) with kept_text, n_lines, n_removed and longest_run (lines of the longest run
-    of 1, 2, 4, ... lines that starts in the document and earlier)."""
+    return df.select(*KEY, "pos", F.col("s.at").alias("at"), F.xxhash64("s.line").alias("id"), F.xxhash64(F.lit(1), "s.line").alias("more"), F.size(F.split("s.line", GAP)).alias("n_words"))
+
+
+def place() -> Column:
+    return F.struct(*KEY, "pos")
+
+
+def ranked(intervals: DataFrame, *order: str) -> DataFrame:
+    """intervals with rank, from 0 without gaps in the given order, which tells them all apart."""
+    dealt = scratch(intervals.repartitionByRange(*order).withColumn("part", F.spark_partition_id()))
+    before = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
+    shift = dealt.groupBy("part").agg(F.count("*").alias("n_part")).select("part", F.coalesce(F.sum("n_part").over(before), F.lit(0)).alias("shift"))
+    at = F.row_number().over(Window.partitionBy("part").orderBy(*order)) - 1
+    return dealt.withColumn("at_part", at).join(F.broadcast(shift), "part").withColumn("rank", F.col("at_part") + F.col("shift")).drop("part", "at_part", "shift")
+
+
+def suffix_levels(lines: DataFrame) -> list[DataFrame]:
+    """For h = 1, 2, 4, ..., the suffixes whose first h lines are there more than once: KEY, pos, at, n_words, the rank
+    of their interval in the order of suffixes by h lines, and its first place."""
+    active, order, levels = lines, ("id", "more"), []
+    while True:
+        intervals = active.groupBy(*order).agg(F.count("*").alias("n"), F.min(place()).alias("first")).filter("n > 1").drop("n")
+        level = scratch(active.join(ranked(intervals, *order), list(order)).select(*KEY, "pos", "at", "n_words", "rank", "first"))
+        if level.isEmpty():
+            return levels
+        levels.append(level)
+        reach = Window.partitionBy(*KEY).orderBy("pos").rangeBetween(1 << (len(levels) - 1), 1 << (len(levels) - 1))
+        active = level.select(*KEY, "pos", "at", "n_words", F.col("rank").alias("head"), F.first("rank").over(reach).alias("tail")).filter("tail is not null")
+        order = ("head", "tail")
+
+
+def same_place(a: DataFrame, b: DataFrame, shift: Column | int = 0) -> Column:
+    return (a["doc_id"].eqNullSafe(b["doc_id"])) & (a["text_hash"] == b["text_hash"]) & (a["pos"] + shift == b["pos"])
+
+
+def longest_runs(levels: list[DataFrame]) -> DataFrame:
+    """KEY, pos, at, n_words and run of every suffix that starts as an earlier one does, run being the most lines that it
+    shares with any earlier one."""
+    seen, open_ = None, None
+    group = ["length", "name"]
+    for k in range(len(levels) - 1, -1, -1):
+        if open_ is not None:  # does anyone who looks on share 2 ** k lines more with an earlier place?
+            more = levels[k].select(*KEY, "pos", F.col("rank").alias("ext"))
+            wide = open_.join(more, same_place(open_, more, F.col("length")), "left").select(open_["*"], "ext")
+            longer = wide.filter("ext is not null").groupBy(*group, "ext").agg(F.min(place()).alias("new"), F.max(F.when(F.col("looks"), place())).alias("last")).filter("last > new").drop("last")
+            wide = scratch(wide.join(longer, [*group, "ext"], "left").withColumn("found", F.coalesce(F.col("looks") & (place() > F.col("new")), F.lit(False))))
+            kept = [*KEY, "pos", "at", "n_words"]
+            on = wide.filter("new is not null").select(*kept, (F.col("length") + (1 << k)).alias("length"), F.col("new").alias("name"), F.col("found").alias("looks"))
+            stay = wide.select(*kept, *group, (F.col("looks") & ~F.col("found")).alias("looks"))
+            open_ = on.unionByName(stay)
+        # who is later here and at no level above begins to look, in the company of its interval
+        here = levels[k].select(*KEY, "pos", "at", "n_words", F.lit(1 << k).alias("length"), F.col("first").alias("name"), (place() > F.col("first")).alias("looks"))
+        if seen is not None:
+            above = seen.select(*KEY, "pos").withColumn("above", F.lit(True))
+            here = here.join(above, same_place(here, above), "left").select(*(here[c] for c in here.columns if c != "looks"), (here["looks"] & F.col("above").isNull()).alias("looks"))
+        later = levels[k].filter(place() > F.col("first")).select(*KEY, "pos")
+        seen = scratch(later if seen is None else seen.unionByName(later).distinct())
+        open_ = here if open_ is None else open_.unionByName(here)
+        # groups without anyone who looks are done
+        asked = open_.filter("looks").select(*group).distinct()
+        open_ = scratch(open_.join(asked, group, "left_semi"))
+    return open_.filter("looks").select(*KEY, "pos", "at", "n_words", F.col("length").alias("run"))
+
+
+def dedup_lines(docs: DataFrame, min_lines: int = 2, min_words: int = 1) -> DataFrame:
+    """docs (doc_id, text and any others; those named as in TAKEN are replaced) with kept_text, n_lines, n_removed and
+    longest_run (lines of the longest deleted run that starts in the document)."""
     docs = docs.drop(*TAKEN)
     lines = scratch(line_places(docs))
-    found = repeated_suffixes(lines, min_lines, min_words)
+    levels = suffix_levels(lines)
     docs = docs.withColumn("text_hash", F.xxhash64("text"))
-    if found:
-        runs = found[0]
-        for more in found[1:]:
-            runs = runs.unionByName(more)
-        # the longest run at each place, then all lines that it covers
-        runs = runs.groupBy(*KEY, "pos").agg(F.max("run").alias("run"))
+    if levels:
+        runs = longest_runs(levels).filter((F.col("run") >= min_lines) | (F.col("n_words") >= min_words)).select(*KEY, "pos", "run")
         ahead = Window.partitionBy(*KEY).orderBy("pos").rowsBetween(Window.unboundedPreceding, 0)
-        marked = lines.join(runs, [lines[k].eqNullSafe(runs[k]) for k in (*KEY, "pos")], "left").select(*(lines[k] for k in (*KEY, "pos", "at")), "run")
+        lines = lines.select(*KEY, "pos", "at").distinct()  # rows equal in doc_id and text count once
+        marked = lines.join(runs.distinct(), [lines[k].eqNullSafe(runs[k]) for k in (*KEY, "pos")], "left").select(*(lines[k] for k in (*KEY, "pos", "at")), "run")
         marked = marked.withColumn("covered", F.max(F.col("pos") + F.col("run")).over(ahead) > F.col("pos"))
         gone = marked.groupBy(*KEY).agg(F.collect_set(F.when(F.col("covered"), F.col("at"))).alias("gone"), F.max("run").alias("longest_run")).filter(F.size("gone") > 0)
     else:

@@ -28,20 +28,18 @@ select d.doc_id, (length(hx) // 2)::bigint as n_bytes, coalesce(n_removed, 0)::b
 from d left join t using (doc_id) left join k using (doc_id)"""
 
 
-def line_suffix_array(min_words: int = 20, levels: int = 12) -> str:
-    steps = ["n0 as (select doc_id, pos, hash(line) as name from l)"]
-    for k in range(1, levels):
-        steps.append(f"n{k} as (select doc_id, pos, hash(name, next) as name from (select *, lead(name, {1 << (k - 1)}) over (partition by doc_id order by pos) as next from n{k - 1}) where next is not null)")
-    union = " union all ".join(f"select {1 << k} as h, * from n{k}" for k in range(levels))
+def line_suffix_array(min_lines: int = 2, min_words: int = 1) -> str:
+    first = "min(struct_pack(a := doc_id, b := pos)) over (partition by name)"
     return f"""
-with a as (select doc_id, unnest(string_split(text, chr(10))) as raw, generate_subscripts(string_split(text, chr(10)), 1) - 1 as spot from documents),
+with recursive a as (select doc_id, unnest(string_split(text, chr(10))) as raw, generate_subscripts(string_split(text, chr(10)), 1) - 1 as spot from documents),
 l as (select doc_id, spot, trim(raw, {_WHITE}) as line, row_number() over (partition by doc_id order by spot) - 1 as pos, len(regexp_split_to_array(trim(raw, {_WHITE}), {_GAP})) as n_words
   from a where trim(raw, {_WHITE}) <> ''),
-{', '.join(steps)},
-u as ({union}),
-f as (select h, name, min(struct_pack(a := doc_id, b := pos)) as first from u group by h, name having count(*) > 1),
-r as (select u.doc_id, u.pos, max(h) as run from u join f using (h, name) join l on l.doc_id = u.doc_id and l.pos = u.pos
-  where struct_pack(a := u.doc_id, b := u.pos) > first and (h >= 2 or n_words >= {min_words}) group by u.doc_id, u.pos),
+u as (select 1 as h, doc_id, pos, name, count(*) over (partition by name) as n, {first} as first from (select doc_id, pos, hash(line) as name from l)
+  union all
+  select h + 1, doc_id, pos, name, count(*) over (partition by name), {first}
+  from (select u.h, u.doc_id, u.pos, hash(u.name, l.line) as name from u join l on l.doc_id = u.doc_id and l.pos = u.pos + u.h where u.n > 1)),
+r as (select u.doc_id, u.pos, max(h) as run from u join l on l.doc_id = u.doc_id and l.pos = u.pos
+  where struct_pack(a := u.doc_id, b := u.pos) > first and (h >= {min_lines} or n_words >= {min_words}) group by u.doc_id, u.pos),
 c as (select l.doc_id, l.spot, run, coalesce(max(l.pos + run) over (partition by l.doc_id order by l.pos) > l.pos, false) as gone from l left join r on r.doc_id = l.doc_id and r.pos = l.pos),
 k as (select a.doc_id, string_agg(raw, chr(10) order by a.spot) as kept from a left join c on c.doc_id = a.doc_id and c.spot = a.spot where not coalesce(gone, false) group by a.doc_id),
 s as (select doc_id, count(*) as n_lines, count(*) filter (gone) as n_removed, coalesce(max(run), 0) as longest_run from c group by doc_id)

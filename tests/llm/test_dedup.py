@@ -113,7 +113,7 @@ def test_run_length_index_counts_patterns():
     assert [twice.count(x) for x in (b"ana", b"a", b"ban")] == [2 * 2 + 2 + 1, 6 + 3 + 3 + 20, 3]
 
 
-def plain_lines(rows, min_words=20):
+def plain_lines(rows, min_words=1):
     seen, out = set(), {}
     for i, t in sorted(rows):
         raw = t.split("\n")
@@ -149,11 +149,33 @@ def test_line_dedup_edges(spark):
     assert line_dedup.dedup_lines(table(spark, [(1, "only"), (2, "one")])).count() == 2
 
 
-def test_longest_runs_by_doubling(spark):
+def test_longest_runs_are_true(spark):
     lines = [f"line {k}" for k in range(40)]
-    rows = [(1, "\n".join(lines)), (2, "\n".join(["new"] + lines[5:38] + ["end"]))]
+    rows = [(1, "\n".join(lines)), (2, "\n".join(["new"] + lines[5:38] + ["end"])), (3, "\n".join(lines[:7] + lines[20:33])), (4, "a\n" * 11)]
     made = {r.doc_id: r.longest_run for r in line_dedup.dedup_lines(table(spark, rows)).collect()}
-    assert made == {1: 0, 2: 32}
+    assert made == {1: 0, 2: 33, 3: 13, 4: 10}
+
+
+@pytest.mark.parametrize("seed", [3, 4])
+def test_ranks_are_in_the_order_of_suffixes_and_runs_equal_brute_force(spark, seed):
+    rnd = random.Random(seed)
+    rows = [(i, [rnd.choice("abc") + str(rnd.randint(0, 1)) for _ in range(rnd.randint(1, 25))]) for i in range(14)]
+    lines = line_dedup.line_places(table(spark, [(i, "\n".join(x)) for i, x in rows]))
+    ids = {(r.doc_id, r.pos): (r.id, r.more) for r in lines.collect()}
+    suffix = {(i, p): [ids[i, q] for q in range(p, len(x))] for i, x in rows for p in range(len(x))}
+    levels = line_dedup.suffix_levels(lines)
+    for k, level in enumerate(levels):
+        found = {(r.doc_id, r.pos): r["rank"] for r in level.collect()}
+        heads = {p: s[: 1 << k] for p, s in suffix.items() if len(s) >= 1 << k}
+        assert set(found) == {p for p, h in heads.items() if list(heads.values()).count(h) > 1}
+        order = sorted({tuple(heads[p]) for p in found})
+        assert all(order[rank] == tuple(heads[p]) for p, rank in found.items())
+
+    def common(a, b):
+        return next((k for k, (x, y) in enumerate(zip(a, b)) if x != y), min(len(a), len(b)))
+
+    wanted = {p: max((common(suffix[p], suffix[q]) for q in suffix if q < p), default=0) for p in suffix}
+    assert {(r.doc_id, r.pos): r.run for r in line_dedup.longest_runs(levels).collect()} == {p: n for p, n in wanted.items() if n}
 
 
 def plain_fingerprint(text, words=4):
