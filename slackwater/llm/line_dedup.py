@@ -9,8 +9,8 @@ leave; rounds go on until none is left.
 The intervals give longest common prefixes: a suffix has the first h lines in common with the first place of its
 interval. From its longest such h, a suffix looks for the same interval with h/2, h/4, ... 1 lines more that an earlier
 place shares, which gives the true length of the longest run that starts there and earlier (smaller doc_id, or the same
-document and an earlier line). Lines of runs of at least `min_lines` lines are deleted, and single lines with at least
-`min_words` words.
+document and an earlier line). Lines of such runs are deleted if the runs have at least `min_lines` lines, a power of two,
+or if the line has at least `min_words` words.
 
 Rows: a null text has no lines and stays null; rows equal in doc_id and text count as one document and get the same
 result; null doc_ids come first; an empty table gives no rows; other columns are ignored.
@@ -67,33 +67,34 @@ def same_place(a: DataFrame, b: DataFrame, shift: Column | int = 0) -> Column:
     return (a["doc_id"].eqNullSafe(b["doc_id"])) & (a["text_hash"] == b["text_hash"]) & (a["pos"] + shift == b["pos"])
 
 
-def longest_runs(levels: list[DataFrame]) -> DataFrame:
-    """KEY, pos, at, n_words and run of every suffix that starts as an earlier one does, run being the most lines that it
-    shares with any earlier one."""
-    seen, open_ = None, None
-    group = ["length", "name"]
+def longest_runs(levels: list[DataFrame], tops: DataFrame | None = None) -> DataFrame:
+    """KEY, pos and run of every suffix that starts as an earlier one does, run being the most lines that it shares with
+    any earlier one. tops: KEY and top; only suffixes that share `top` lines and not twice as many are then looked at."""
+    group, kept, open_ = ["length", "name"], [*KEY, "pos"], None
     for k in range(len(levels) - 1, -1, -1):
         if open_ is not None:  # does anyone who looks on share 2 ** k lines more with an earlier place?
             more = levels[k].select(*KEY, "pos", F.col("rank").alias("ext"))
             wide = open_.join(more, same_place(open_, more, F.col("length")), "left").select(open_["*"], "ext")
             longer = wide.filter("ext is not null").groupBy(*group, "ext").agg(F.min(place()).alias("new"), F.max(F.when(F.col("looks"), place())).alias("last")).filter("last > new").drop("last")
             wide = scratch(wide.join(longer, [*group, "ext"], "left").withColumn("found", F.coalesce(F.col("looks") & (place() > F.col("new")), F.lit(False))))
-            kept = [*KEY, "pos", "at", "n_words"]
             on = wide.filter("new is not null").select(*kept, (F.col("length") + (1 << k)).alias("length"), F.col("new").alias("name"), F.col("found").alias("looks"))
             stay = wide.select(*kept, *group, (F.col("looks") & ~F.col("found")).alias("looks"))
             open_ = on.unionByName(stay)
-        # who is later here and at no level above begins to look, in the company of its interval
-        here = levels[k].select(*KEY, "pos", "at", "n_words", F.lit(1 << k).alias("length"), F.col("first").alias("name"), (place() > F.col("first")).alias("looks"))
-        if seen is not None:
-            above = seen.select(*KEY, "pos").withColumn("above", F.lit(True))
+        # who is later here and not on the level above begins to look, in the company of its interval
+        here = levels[k].select(*kept, F.lit(1 << k).alias("length"), F.col("first").alias("name"), (place() > F.col("first")).alias("looks"))
+        if tops is not None:
+            near = tops.filter(F.col("top") == 1 << k)
+            on = here["doc_id"].eqNullSafe(near["doc_id"]) & (here["text_hash"] == near["text_hash"])
+            here = here.join(near, on, "left").select(*(here[c] for c in here.columns if c != "looks"), (here["looks"] & F.col("top").isNotNull()).alias("looks"))
+        elif k + 1 < len(levels):
+            above = levels[k + 1].filter(place() > F.col("first")).select(*KEY, "pos").distinct().withColumn("above", F.lit(True))
             here = here.join(above, same_place(here, above), "left").select(*(here[c] for c in here.columns if c != "looks"), (here["looks"] & F.col("above").isNull()).alias("looks"))
-        later = levels[k].filter(place() > F.col("first")).select(*KEY, "pos")
-        seen = scratch(later if seen is None else seen.unionByName(later).distinct())
+        if k == 0:  # nothing is shorter: no company needed
+            here = here.filter("looks")
+            return (here if open_ is None else open_.filter("looks").unionByName(here)).select(*kept, F.col("length").alias("run"))
         open_ = here if open_ is None else open_.unionByName(here)
         # groups without anyone who looks are done
-        asked = open_.filter("looks").select(*group).distinct()
-        open_ = scratch(open_.join(asked, group, "left_semi"))
-    return open_.filter("looks").select(*KEY, "pos", "at", "n_words", F.col("length").alias("run"))
+        open_ = scratch(open_.join(open_.filter("looks").select(*group).distinct(), group, "left_semi"))
 
 
 def dedup_lines(docs: DataFrame, min_lines: int = 2, min_words: int = 1) -> DataFrame:
@@ -104,12 +105,19 @@ def dedup_lines(docs: DataFrame, min_lines: int = 2, min_words: int = 1) -> Data
     levels = suffix_levels(lines)
     docs = docs.withColumn("text_hash", F.xxhash64("text"))
     if levels:
-        runs = longest_runs(levels).filter((F.col("run") >= min_lines) | (F.col("n_words") >= min_words)).select(*KEY, "pos", "run")
+        # the floors of runs cover what the runs cover: a run of 2h - 1 lines is two of h that overlap
+        later = [x.filter(place() > F.col("first")).select(*KEY, "pos", "n_words", F.lit(1 << k).alias("run")) for k, x in enumerate(levels)]
+        runs = later[0]
+        for more in later[1:]:
+            runs = runs.unionByName(more)
+        runs = scratch(runs.filter((F.col("run") >= min_lines) | (F.col("n_words") >= min_words)).groupBy(*KEY, "pos").agg(F.max("run").alias("run")))
+        tops = runs.groupBy(*KEY).agg(F.max("run").alias("top"))
+        longest = longest_runs(levels, scratch(tops.filter("top > 1"))).groupBy(*KEY).agg(F.max("run").alias("longest"))
         ahead = Window.partitionBy(*KEY).orderBy("pos").rowsBetween(Window.unboundedPreceding, 0)
-        lines = lines.select(*KEY, "pos", "at").distinct()  # rows equal in doc_id and text count once
-        marked = lines.join(runs.distinct(), [lines[k].eqNullSafe(runs[k]) for k in (*KEY, "pos")], "left").select(*(lines[k] for k in (*KEY, "pos", "at")), "run")
+        marked = lines.select(*KEY, "pos", "at").join(runs, [lines[k].eqNullSafe(runs[k]) for k in (*KEY, "pos")], "left").select(*(lines[k] for k in (*KEY, "pos", "at")), "run")
         marked = marked.withColumn("covered", F.max(F.col("pos") + F.col("run")).over(ahead) > F.col("pos"))
-        gone = marked.groupBy(*KEY).agg(F.collect_set(F.when(F.col("covered"), F.col("at"))).alias("gone"), F.max("run").alias("longest_run")).filter(F.size("gone") > 0)
+        gone = marked.groupBy(*KEY).agg(F.collect_set(F.when(F.col("covered"), F.col("at"))).alias("gone"), F.max("run").alias("top")).filter(F.size("gone") > 0)
+        gone = gone.join(longest, [gone[k].eqNullSafe(longest[k]) for k in KEY], "left").select(*(gone[k] for k in KEY), "gone", F.coalesce("longest", "top").alias("longest_run"))
     else:
         gone = docs.limit(0).select(*KEY, F.array().cast("array<int>").alias("gone"), F.lit(0).alias("longest_run"))
     gone = gone.select(*(F.col(k).alias(f"gone_{k}") for k in KEY), "gone", "longest_run")
