@@ -19,7 +19,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import rank_encoding, token_ids
+from .common import lean, rank_encoding, token_ids
 
 SCHEMA = pa.schema([("sequence_id", pa.int64()), ("n_tokens", pa.int32()), ("n_padding", pa.int32()), ("doc_ids", pa.list_(pa.int64())), ("starts", pa.list_(pa.int64())), ("cu_seqlens", pa.list_(pa.int32())), ("position_resets", pa.list_(pa.int32())), ("ids", pa.binary())])
 SPARK_SCHEMA = "sequence_id long, n_tokens int, n_padding int, doc_ids array<long>, starts array<long>, cu_seqlens array<int>, position_resets array<int>, ids binary"
@@ -101,7 +101,7 @@ def matrices(docs: DataFrame, ranks: str, pattern: str, room: int = 1024, end_id
         if pieces:
             yield give(pieces, next_id)
 
-    return docs.select("doc_id", "text").mapInArrow(run, SPARK_SCHEMA)
+    return docs.select("doc_id", "text").mapInArrow(lean(run), SPARK_SCHEMA)
 
 
 def write_matrices(packed: DataFrame, path: str) -> None:

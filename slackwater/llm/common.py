@@ -3,8 +3,10 @@
 from __future__ import annotations
 
 import base64
+import ctypes
 import tempfile
 import uuid
+from collections.abc import Callable, Iterator
 from functools import lru_cache
 
 import numpy as np
@@ -24,9 +26,11 @@ def documents(spark: SparkSession, sf_dir: str, *columns: str) -> DataFrame:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that all executors share; one of our own only where the session names none."""
+    """The folder that all executors share; one of our own only where the session names none and is local."""
     named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not named:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
         named = "file://" + tempfile.mkdtemp(prefix="slackwater-")
         spark.sparkContext.setCheckpointDir(named)
     return named
@@ -80,3 +84,18 @@ def packed_bytes(column: pa.Array | pa.ChunkedArray) -> tuple[np.ndarray, np.nda
 def spread(*columns: str) -> F.Column:
     """A hash that deals rows out evenly whatever the columns hold."""
     return F.xxhash64(*columns)
+
+
+def lean(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]):
+    """run, and afterwards the worker, which serves other tasks later, gives the memory that it no longer needs back."""
+
+    def done(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            yield from run(batches)
+        finally:
+            pa.default_memory_pool().release_unused()
+            trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # of glibc alone
+            if trim:
+                trim(0)
+
+    return done

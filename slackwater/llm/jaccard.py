@@ -20,7 +20,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import simhash
-from .common import scratch
+from .common import lean, scratch
 
 
 def shingles(text: str | None, words: int, seed: int) -> np.ndarray:
@@ -41,7 +41,7 @@ def nodes_of(docs: DataFrame, words: int, seed: int, key: Column) -> DataFrame:
             yield out.append_column("bits", pa.array([simhash.majority(h) for h in hashes], pa.int64()))
 
     doc_id = df.schema["doc_id"].dataType.simpleString()
-    return df.mapInArrow(run, f"doc_id {doc_id}, key long, node long, n long, bits long")
+    return df.mapInArrow(lean(run), f"doc_id {doc_id}, key long, node long, n long, bits long")
 
 
 def shared_shingles(docs: DataFrame, words: int, seed: int, count: int) -> DataFrame:
@@ -67,7 +67,7 @@ def shared_shingles(docs: DataFrame, words: int, seed: int, count: int) -> DataF
         keep = df[at] > 1
         return pa.table({"node": pa.array(node[keep].view(np.int64)), "shingle": pa.array(s[keep].view(np.int64)), "df": pa.array(df[at][keep].astype(np.int64))})
 
-    return docs.select("text").mapInArrow(deal, "k long, shingle binary, node binary").groupBy("k").applyInArrow(count_nodes, "node long, shingle long, df long")
+    return docs.select("text").mapInArrow(lean(deal), "k long, shingle binary, node binary").groupBy("k").applyInArrow(count_nodes, "node long, shingle long, df long")
 
 
 def similar(a: Column, b: Column, n: Column, m: Column, least: int) -> Column:

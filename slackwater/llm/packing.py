@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 
-from .common import rank_encoding, token_ids
+from .common import lean, rank_encoding, token_ids
 
 SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, sequence_tokens long, sequence_cost double"
 
@@ -122,4 +122,4 @@ def pack(docs: DataFrame, ranks: str, pattern: str, room: int = 1024, end_id: in
         if rows := packer.rest():
             yield as_batch(rows)
 
-    return docs.select("doc_id", "text").mapInArrow(run, SCHEMA)
+    return docs.select("doc_id", "text").mapInArrow(lean(run), SCHEMA)

@@ -21,7 +21,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import scratch, split_count
+from .common import lean, scratch, split_count
 
 LEAF = 64
 
@@ -59,7 +59,7 @@ def fingerprints(docs: DataFrame, words: int = 4, seed: int = 42, also: list[Col
         for batch in batches:
             yield batch.drop_columns("text").append_column("bits", pa.array([fingerprint(t.as_py(), words, seed) for t in batch.column(1)], pa.int64()))
 
-    return df.mapInArrow(run, T.StructType([*df.drop("text").schema.fields, T.StructField("bits", T.LongType())]))
+    return df.mapInArrow(lean(run), T.StructType([*df.drop("text").schema.fields, T.StructField("bits", T.LongType())]))
 
 
 def labels_of(u: np.ndarray, v: np.ndarray, n: int) -> np.ndarray:
@@ -177,7 +177,7 @@ def links(nodes: DataFrame, budget: int = 4, least: int = 8192, aim: int = 1 <<
         bits = np.sort(np.frombuffer(b"".join(table.column("held").to_pylist()), np.int64))
         return pa.table({"k": pa.array([table.column("k")[0].as_py()], pa.int32()), "lo": pa.array([bits[0]], pa.int64()), "hi": pa.array([bits[-1]], pa.int64()), "held": pa.array([bits.tobytes()], pa.binary())})
 
-    dealt = scratch(nodes.select("bits").mapInArrow(deal, "k int, held binary").groupBy("k").applyInArrow(gather, "k int, lo long, hi long, held binary"))
+    dealt = scratch(nodes.select("bits").mapInArrow(lean(deal), "k int, held binary").groupBy("k").applyInArrow(gather, "k int, lo long, hi long, held binary"))
     bounds = dealt.select("k", "lo", "hi").orderBy("k").toPandas()  # most_ranges rows at most
     lo, hi = (bounds[c].to_numpy().view(np.uint64) ^ np.uint64(1 << 63) for c in ("lo", "hi"))
     common = 64 - np.array([int(x).bit_length() for x in lo ^ hi])
@@ -197,7 +197,7 @@ def links(nodes: DataFrame, budget: int = 4, least: int = 8192, aim: int = 1 <<
 
     both = pairs.join(dealt.select("k", "held"), "k").join(dealt.select(F.col("k").alias("l"), F.col("held").alias("other")), "l")
     parts = int(min(near.sum(), max(split_count(spark), 48)))
-    return scratch(both.select("k", "l", "held", "other").repartition(max(1, parts), "k", "l").mapInArrow(compare, "u long, v long"))
+    return scratch(both.select("k", "l", "held", "other").repartition(max(1, parts), "k", "l").mapInArrow(lean(compare), "u long, v long"))
 
 
 def contract(batches: Iterator[pa.RecordBatch], most: int = 1 << 20) -> Iterator[pa.RecordBatch]:
@@ -224,7 +224,7 @@ def components(edges: DataFrame) -> DataFrame:
     """node and root (the smallest node that it is linked to, over any number of links) of every node of edges (u, v).
 
     Partitions join what they can; then alternating stars, until every node hangs on one that hangs on none."""
-    edges = scratch(edges.select("u", "v").mapInArrow(contract, "u long, v long"))
+    edges = scratch(edges.select("u", "v").mapInArrow(lean(contract), "u long, v long"))
     while True:
         ends = edges.select(F.explode(F.array(F.struct(F.col("u").alias("node"), F.lit(1).alias("below"), F.lit(0).alias("above")), F.struct(F.col("v").alias("node"), F.lit(0).alias("below"), F.lit(1).alias("above")))).alias("e"))
         if ends.groupBy("e.node").agg(F.sum("e.below").alias("below"), F.max("e.above").alias("above")).filter("below + above > 1").isEmpty():
@@ -237,7 +237,7 @@ def components(edges: DataFrame) -> DataFrame:
         edges = scratch(edges)
         least = scratch(edges.groupBy("u").agg(F.min("v").alias("m")))
         edges = edges.join(least, "u").select(F.explode(F.array(F.struct(F.col("u"), F.col("m").alias("v")), F.struct(F.col("v").alias("u"), F.col("m").alias("v")))).alias("e")).select("e.u", "e.v").filter("u <> v")
-        edges = scratch(edges.distinct().mapInArrow(contract, "u long, v long"))
+        edges = scratch(edges.distinct().mapInArrow(lean(contract), "u long, v long"))
 
 
 def groups(prints: DataFrame, budget: int = 4) -> DataFrame:

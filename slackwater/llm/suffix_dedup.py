@@ -32,7 +32,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import packed_bytes, scratch
+from .common import lean, packed_bytes, scratch
 from .simhash import ranges
 
 GRAM = 32
@@ -522,7 +522,7 @@ def keyed(docs: DataFrame) -> DataFrame:
 def hot_anchors(texts: DataFrame, length: int, every: int = 64, least: int = 8, most: int = 10_000) -> np.ndarray:
     """The anchors, `most` at most, that have `least` different phrases or more among one in `every` of the texts. They
     are dealt out in another way, with the same results: which they are is a matter of balance alone."""
-    some = texts.filter(F.pmod(F.xxhash64("tie", "doc"), F.lit(every)) == 0).mapInArrow(find_phrases(length), DEALT).filter("at % 2 = 0")
+    some = texts.filter(F.pmod(F.xxhash64("tie", "doc"), F.lit(every)) == 0).mapInArrow(lean(find_phrases(length)), DEALT).filter("at % 2 = 0")
     names = some.groupBy("key").agg(F.countDistinct(F.shiftrightunsigned("name", 32)).alias("n")).filter(F.col("n") >= least)
     rows = names.orderBy(F.desc("n"), "key").limit(most).select("key").collect()
     return np.sort(np.array([r["key"] for r in rows], np.int64).view(np.uint64))
@@ -534,11 +534,11 @@ def repeats(docs: DataFrame, length: int = 100) -> DataFrame:
         raise ValueError("length is from 64 to 112: three grams of 64 bytes must cover a phrase")
     texts = keyed(docs)
     narrow = texts.select("doc", "tie", "text")
-    notes = scratch(narrow.mapInArrow(find_phrases(length, hot_anchors(narrow, length)), DEALT).repartition("key").sortWithinPartitions("key").mapInArrow(settle, NOTES))
+    notes = scratch(narrow.mapInArrow(lean(find_phrases(length, hot_anchors(narrow, length))), DEALT).repartition("key").sortWithinPartitions("key").mapInArrow(lean(settle), NOTES))
     asked = notes.filter("key is not null").groupBy("doc", "tie").agg(F.collect_list(F.struct("start", "n", "off", "key")).alias("asked"))
     # doc_id goes along so that both joins deal out the same rows, and Spark does it once
     found = texts.select("doc_id", "text", "doc", "tie").join(asked, ["doc", "tie"]).select("doc", "tie", "text", "asked", "doc_id")
-    found = found.mapInArrow(take_bytes(length), ASKED).repartition("key").sortWithinPartitions("key").mapInArrow(match(length), MARKS)
+    found = found.mapInArrow(lean(take_bytes(length)), ASKED).repartition("key").sortWithinPartitions("key").mapInArrow(lean(match(length)), MARKS)
     marks = notes.filter("key is null").select("doc", "tie", "start", "n").unionByName(found)
     marks = marks.groupBy("doc", "tie").agg(F.collect_list(F.struct("start", "n")).alias("marked"))
     return texts.join(marks, ["doc", "tie"], "left")
@@ -587,4 +587,4 @@ def dedup(docs: DataFrame, length: int = 100) -> DataFrame:
                 batch = batch.append_column(name, pa.array(values, pa.string() if name.startswith("kept") else pa.int64()))
             yield batch
 
-    return df.mapInArrow(run, T.StructType([*df.drop("marked").schema.fields, *MADE.fields]))
+    return df.mapInArrow(lean(run), T.StructType([*df.drop("marked").schema.fields, *MADE.fields]))

@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import scratch, split_count, spread
+from .common import lean, scratch, split_count, spread
 
 
 def whole_vectors(vectors: DataFrame, scale: int) -> DataFrame:
@@ -128,11 +128,11 @@ def top_k(vectors: DataFrame, queries: DataFrame, k: int = 5, scale: int = 256,
     pair = ["shard", "shard_ids", "shard_x", "block", "block_ids", "block_x", "known"]
     # the first search: each block meets one shard, the blocks shards in turn
     first = asked.join(shards, F.pmod("block", F.lit((last or 0) + 1)) == F.col("shard")).withColumn("known", F.lit(None).cast("array<struct<query_id: bigint, score: bigint>>"))
-    known = first.select(*pair).repartition(max(1, n_blocks)).mapInArrow(search, kept).withColumn("rank", F.row_number().over(best)).filter(F.col("rank") == k)
+    known = first.select(*pair).repartition(max(1, n_blocks)).mapInArrow(lean(search), kept).withColumn("rank", F.row_number().over(best)).filter(F.col("rank") == k)
     asked = scratch(asked.join(known.groupBy("block").agg(F.collect_list(F.struct("query_id", "score")).alias("known")), "block", "left"))
     # every shard meets every block of the stated queries once; few shards are dealt out several times, each with a part of the blocks
     parts = max(1, min(n_blocks, -(-split_count(vectors.sparkSession) // max(1, count))))
     dealt = asked.withColumn("shard", F.explode(F.sequence(F.lit(0), F.lit(last or 0)))).withColumn("part", F.pmod("block", F.lit(parts)).cast("int"))
     held = shards.withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(parts - 1))))
-    found = held.hint("merge").join(dealt, ["shard", "part"]).select(*pair).mapInArrow(search, kept)
+    found = held.hint("merge").join(dealt, ["shard", "part"]).select(*pair).mapInArrow(lean(search), kept)
     return found.withColumn("rank", F.row_number().over(best)).filter(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")

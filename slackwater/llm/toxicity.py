@@ -29,6 +29,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .common import lean
+
 SPAN, DECAY, FLOOR = 7, 0.6, 0.35
 APART = re.compile(r"(?<!\S)(?:\S ){3,}\S(?!\S)")
 OFFSETS = [(a, b) for b in range(2, SPAN) for a in range(1, b)]
@@ -297,7 +299,7 @@ def scored(docs: DataFrame, model: Model | None) -> DataFrame:
             score = model.scores(texts) if model else np.zeros(len(texts))
             yield batch.append_column("score", pa.array(score, pa.float64()))
 
-    return docs.mapInArrow(run, T.StructType([*docs.schema.fields, T.StructField("score", T.DoubleType())]))
+    return docs.mapInArrow(lean(run), T.StructType([*docs.schema.fields, T.StructField("score", T.DoubleType())]))
 
 
 def judge(docs: DataFrame, labels: DataFrame, limit: float = 0.3, most: int = 6000) -> DataFrame:
