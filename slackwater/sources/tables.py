@@ -72,9 +72,11 @@ def ad_map(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that driver and executors share; one of our own where the session names none."""
+    """The folder that driver and executors share; one of our own where the session names none and is local."""
     named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not named:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
         named = "file://" + tempfile.mkdtemp(prefix="slackwater-")
         spark.sparkContext.setCheckpointDir(named)
     return named.rstrip("/")
