@@ -60,12 +60,12 @@ def custom_3_states(spark, sf_dir):
 )
 def tpch_q1_states(spark, sf_dir):
     q = WORKLOADS["tpch_q1"]
-    lines = slotted(table(spark, sf_dir, "lineitem"), "l_orderkey", N_SLOTS, last_key(spark, sf_dir, "lineitem")).withColumn("batch_no", batch_no(F.col("slot")))
-    parts = [q.prepare({"lineitem": lines.filter(F.col("batch_no") == b)}, {}).withColumn("batch_no", F.lit(b)) for b in (1, 2, 3, 4)]
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.unionByName(p)
-    return out.select("batch_no", "l_returnflag", "l_linestatus", F.col("sum_qty").cast("double").alias("sum_qty"), F.col("sum_disc").cast("double").alias("sum_disc"), "n")
+    state = None
+    for b, (lo, hi) in enumerate(((0, 18), (18, 60), (60, 61), (61, N_SLOTS)), 1):  # each batch reads its own keys alone
+        lines = slot_range(table(spark, sf_dir, "lineitem"), "l_orderkey", lo, hi, N_SLOTS, last_key(spark, sf_dir, "lineitem"))
+        part = q.prepare({"lineitem": lines}, {}).withColumn("batch_no", F.lit(b))
+        state = part if state is None else state.unionByName(part)
+    return state.select("batch_no", "l_returnflag", "l_linestatus", F.col("sum_qty").cast("double").alias("sum_qty"), F.col("sum_disc").cast("double").alias("sum_disc"), "n")
 
 
 def _late_parts(spark, sf_dir, batches: int = 4):
@@ -83,13 +83,19 @@ Q12_SQL = """select l_returnflag, sum(case when o_orderpriority in ('1-URGENT',
 
 
 @registered(Q12_SQL + " group by all")
-def late_join_q12(spark, sf_dir):
-    """Batch by batch, late lines go to the orders of earlier batches; all pairs come out once."""
-    orders, lines, on = _late_parts(spark, sf_dir)
-    out = None
-    for b in range(4):
-        late = F.col("l_event") < b
-        pairs = late_join(orders.filter(F.col("o_batch") == b), lines.filter(F.col("l_batch") == b), orders.filter(F.col("o_batch") < b), lines.filter(F.col("l_batch") < b), F.lit(False), late, on)
+def late_join_q12(spark, sf_dir, batches: int = 4, latest: int = 3):
+    """Batch by batch, late lines go to the orders of earlier batches; all pairs come out once. A line is `latest` slots
+    late at most: a batch and the history that it needs are ranges of keys, which the scans skip by."""
+    last, width, out = last_key(spark, sf_dir, "orders"), N_SLOTS // batches, None
+    cut = lambda name, key, lo, hi: slot_range(table(spark, sf_dir, name), key, lo, hi, N_SLOTS, last)
+    on = (F.col("l_orderkey") == F.col("o_orderkey")) & (F.col("l_shipdate") > F.col("o_orderdate"))
+    for b in range(batches):
+        lo, hi = b * width, (b + 1) * width
+        before = max(0, lo - latest)
+        orders = lambda a, z: cut("orders", "o_orderkey", a, z).select("o_orderkey", "o_orderdate", "o_orderpriority")
+        lines = late_lines(cut("lineitem", "l_orderkey", before, hi), N_SLOTS, last).filter((F.col("slot") >= lo) & (F.col("slot") < hi))
+        lines = lines.filter("l_returnflag in ('A', 'R') and l_shipdate >= timestamp_ntz'1997-01-01' and l_shipdate < timestamp_ntz'1998-01-01'")
+        pairs = late_join(orders(lo, hi), lines, orders(before, lo), lines.limit(0), F.lit(False), F.col("event_slot") < lo, on)
         out = pairs if out is None else out.unionByName(pairs)
     return q12_counts(out)
 
@@ -148,12 +154,6 @@ def orders_left_lines(spark, sf_dir):
     return table(spark, sf_dir, "orders").join(table(spark, sf_dir, "lineitem"), F.col("l_orderkey") == F.col("o_orderkey"), "left").agg(F.count("*").alias("n"), F.count("l_orderkey").alias("matched"))
 
 
-@registered("select o_orderpriority, count(*) as n from orders join lineitem on l_orderkey = o_orderkey where o_orderkey >= 100 and o_orderkey < 900 group by all")
-def aligned_join(spark, sf_dir):
-    df = relational.aligned_join(table(spark, sf_dir, "orders"), table(spark, sf_dir, "lineitem"), "o_orderkey", "l_orderkey", 100, 900)
-    return df.groupBy("o_orderpriority").agg(F.count("*").alias("n"))
-
-
 @registered("select s_name, count(*) as n from lineitem join supplier on l_suppkey = s_suppkey group by all")
 def salted_join(spark, sf_dir):
     """A hot supplier's lines would be spread over the salts."""
@@ -281,30 +281,8 @@ def case_pivot(spark, sf_dir):
     return df.groupBy("event_type").pivot("d", [1, 2]).agg(F.count(F.lit(1))).select("event_type", F.coalesce("1", F.lit(0)).alias("first_day"), F.coalesce("2", F.lit(0)).alias("second_day"))
 
 
-@registered(
-    """select o_orderkey, row_number() over w as row_number, rank() over w as rank, dense_rank() over w as dense_rank, percent_rank() over w as percent_rank, cume_dist() over w as cume_dist,
-    ntile(4) over w as ntile from (select * from orders where o_custkey < 20) window w as (partition by o_orderstatus order by o_orderkey)"""
-)
-def order_ranks(spark, sf_dir):
-    df = table(spark, sf_dir, "orders").filter("o_custkey < 20")
-    ranked = relational.ranks(df, ("o_orderstatus",), [F.col("o_orderkey")])
-    return ranked.select("o_orderkey", *(F.col(c).cast("long").alias(c) for c in ("row_number", "rank", "dense_rank")), "percent_rank", "cume_dist", F.col("ntile").cast("long").alias("ntile"))
-
-
-@registered("select o_custkey, count(*) as n from orders where o_custkey < 50 group by o_custkey")
-def bucketed_orders(spark, sf_dir):
-    """Orders written in buckets of their customers; the count reads them without a shuffle."""
-    import uuid
-
-    from ..sources.sinks import write_bucketed
-
-    name = f"orders_by_customer_{uuid.uuid4().hex[:8]}"
-    write_bucketed(table(spark, sf_dir, "orders").select("o_custkey", "o_orderkey"), name, 8, "o_custkey")
-    return spark.table(name).filter("o_custkey < 50").groupBy("o_custkey").agg(F.count("*").alias("n"))
-
-
 @registered("select o_orderpriority, count(*) as n from orders join lineitem on l_orderkey = o_orderkey group by all")
-def aligned_join_batches(spark, sf_dir):
+def aligned_join(spark, sf_dir):
     """The aligned join over all slots, batch by batch; counts of batches add up."""
     orders, lines = table(spark, sf_dir, "orders"), table(spark, sf_dir, "lineitem")
     least, most = orders.agg(F.min("o_orderkey"), F.max("o_orderkey")).first()
@@ -320,13 +298,13 @@ def aligned_join_batches(spark, sf_dir):
     """select o_orderkey, row_number() over w as row_number, rank() over w as rank, dense_rank() over w as dense_rank, percent_rank() over w as percent_rank, cume_dist() over w as cume_dist,
     ntile(4) over w as ntile from orders window w as (partition by o_orderstatus order by o_orderkey)"""
 )
-def order_ranks_whole(spark, sf_dir):
+def order_ranks(spark, sf_dir):
     ranked = relational.ranks(table(spark, sf_dir, "orders"), ("o_orderstatus",), [F.col("o_orderkey")])
     return ranked.select("o_orderkey", *(F.col(c).cast("long").alias(c) for c in ("row_number", "rank", "dense_rank")), "percent_rank", "cume_dist", F.col("ntile").cast("long").alias("ntile"))
 
 
 @registered("select o_custkey, count(*) as n from orders group by o_custkey")
-def bucketed_orders_whole(spark, sf_dir):
+def bucketed_orders(spark, sf_dir):
     """All orders in buckets of their customers; the count reads them without a shuffle."""
     import uuid
 
@@ -410,14 +388,16 @@ def micro_batch_q6(spark, sf_dir):
 
 @registered()
 def state_sizes(spark, sf_dir):
-    """Rows and the share of input rows that the states of four batches have, by workload."""
+    """Rows and bytes of the states of four batches, and the share of the rows read that they have, by workload."""
+    from ..sources.tables import STREAM_KEYS
+
     rows = []
-    last = last_key(spark, sf_dir, "lineitem")
-    for name in ("tpch_q1", "tpch_q3", "custom_2", "custom_3"):
-        q = WORKLOADS[name]
+    for name, q in WORKLOADS.items():
+        stream = q.streams[-1]
+        last = last_key(spark, sf_dir, q.streams[0])
         for b, (lo, hi) in enumerate(((0, 30), (30, 60), (60, 90), (90, N_SLOTS)), 1):
-            n = run_batch(spark, sf_dir, q, lo, hi, N_SLOTS, last).count()
-            read = slot_range(table(spark, sf_dir, "lineitem"), "l_orderkey", lo, hi, N_SLOTS, last).count()
-            rows.append((name, b, n, n / max(1, read)))
-    return spark.createDataFrame(rows, "query_id string, batch_no int, n_rows long, share double")
-
+            state = run_batch(spark, sf_dir, q, lo, hi, N_SLOTS, last)
+            n, size = state.agg(F.count("*"), F.sum(F.octet_length(F.to_json(F.struct(*state.columns))))).first()
+            read = slot_range(table(spark, sf_dir, stream), STREAM_KEYS[stream], lo, hi, N_SLOTS, last).count()
+            rows.append((name, b, n, size or 0, n / max(1, read)))
+    return spark.createDataFrame(rows, "query_id string, batch_no int, n_rows long, n_bytes long, share double")

@@ -19,10 +19,10 @@ def base_size(total: int, law: TimeLaw, nodes: int = FEWEST_NODES) -> int:
         return 1
     limit = 2 * law.batch(nodes, total)
     fixed, each = law.b0 + law.bp / nodes, law.bn + law.bnp / nodes
-    if fixed <= 0:
+    if fixed <= 0 or limit - each * total >= total * fixed:
         most = total
     else:  # k batches hold total units at least
-        most = min(total, math.floor((limit - each * total) / fixed + 1e-9))
+        most = math.floor((limit - each * total) / fixed + 1e-9)
     for k in range(max(1, most), 0, -1):
         x = -(-total // k)
         if -(-total // x) * law.batch(nodes, x) <= limit * (1 + 1e-12):

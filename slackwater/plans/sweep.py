@@ -26,7 +26,7 @@ def plan_cell(specs: list[QuerySpec], factor: float, initial_nodes: int, ladder=
         tries = [plan_cell(specs, factor, initial_nodes, ladder, stride, tariff, longest_s, trimmed, r, start, **rules) for r in (True, False)]
         return min((p for p in tries if p.feasible), key=lambda p: p.money, default=tries[0])
     plan = escalate(specs, size, initial_nodes, ladder, stride, reset_prefix, tariff, start, **rules)
-    return trim(plan, specs, size, initial_nodes, ladder, tariff, stride=stride, **rules) if trimmed and start is None else plan
+    return trim(plan, specs, size, initial_nodes, ladder, tariff, stride=stride, start=start, **rules) if trimmed else plan
 
 
 def entry_rows(plan: Plan) -> list[tuple]:

@@ -92,9 +92,13 @@ class Dispatcher:
         idle = self.plan.entries[0].start if self.plan.entries else None
         self.ledger.want(self.clock.now, entry.nodes, idle)
         self.clock.move_to(entry.start)
+        now = self.clock.now
         name, lo = query.name, self.done[spec.query_id]
         hi = min(self.n_slots, lo + entry.units)
-        key = self.last.setdefault(query.streams[0], last_key(self.spark, self.sf_dir, query.streams[0]))
+        stream = query.streams[0]
+        if stream not in self.last:  # one scan for each stream, not for each batch
+            self.last[stream] = last_key(self.spark, self.sf_dir, stream)
+        key = self.last[stream]
         self.count[name] += 1
         number = self.count[name]
         self.store.write(name, number, 0, run_batch(self.spark, self.sf_dir, query, lo, hi, self.n_slots, key))
@@ -104,14 +108,15 @@ class Dispatcher:
             self.store.compact(query, 0, self.waiting[name], number)
             self.merged[name].append(number)
             self.waiting[name] = []
-        started = entry.start
-        self.clock.move_to(entry.free)
+        started = max(entry.start, now)
+        self.clock.move_to(started + entry.free - entry.start)
         if hi >= spec.total:
             parts = ([self.store.read(name, 0, self.waiting[name])] if self.waiting[name] else []) + ([self.store.read(name, 1, self.merged[name])] if self.merged[name] else [])
             states = parts[0] if len(parts) == 1 else parts[0].unionByName(parts[1])
             self.answers[name] = query.finish(query.combine(states))
             del self.specs[name]
-        self.log.append((name, number, started, entry.free, lo, hi, entry.nodes, entry.free <= spec.deadline + 1e-9))
+        ended = self.clock.now
+        self.log.append((name, number, started, ended, lo, hi, entry.nodes, ended <= spec.deadline + 1e-9))
         return True
 
     def run(self) -> dict[str, DataFrame]:

@@ -189,6 +189,7 @@ def test_trim_never_raises_money():
 def test_idle_spans():
     s = cases.release(1)
     assert no_input_spans(s, 2600.0) == [(1000.0, 1500.0), (2500.0, 2600.0)]
+    assert no_input_spans(s[1:], 2500.0) == [(0.0, 1500.0)]
     entries = escalate(s, sizing.sizes(s, 2), 2).entries
     assert idle_gaps(entries) and long_gaps(entries, 1.0)
     spans = idle_spans(s, entries)
@@ -307,3 +308,34 @@ def test_edges():
     tied = [QuerySpec(q, 0.0, 4.0, 50.0, 4, law) for q in "ab"]
     assert [e.query_id for e in simulate(tied, {"a": 2, "b": 2}, 2, Start.of(tied)).entries][0] == "a"
     assert timeline([], 2) == [] and Tariff().bill([]) == 0.0
+
+
+def test_headroom_counts_from_the_start_of_the_plan():
+    s = [QuerySpec("q", 0.0, 600.0, 700.0, 600, cases.law(0.2, 20))]
+    size, start = sizing.sizes(s, 2), Start.of(s, 560.0)
+    plan = escalate(s, size, 2, start=start)
+    assert plan.feasible
+    room = rate.headroom(plan, s, start=560.0)
+    assert rate.holds(plan, s, room, 560.0) and not rate.holds(plan, s, room + 0.05, 560.0)
+    assert room < rate.headroom(plan, s, start=0.0)  # what counting from the start of the run would say
+
+
+def test_release_study_gives_nodes_back():
+    def spans(run):
+        s = cases.release(run)
+        plan = escalate(s, sizing.sizes(s, 2), 2)
+        return plan, timeline(plan.entries, 2, 0.0, idle_spans(s, plan.entries, 300.0))
+
+    plan, held = spans(1)
+    assert plan.max_nodes > 2 and any(n == 1 and a >= 1000 and b <= 1700 for a, b, n in held)  # boosted, then given back
+    plan, held = spans(2)
+    assert held[0][0] == 0.0 and held[0][2] == 1 and held[0][1] >= 1500 and held[1][2] == 2
+
+
+def test_plans_made_in_a_run_are_trimmed():
+    s = cases.release(1)
+    size = sizing.sizes(s, 2)
+    start = Start.of(s, 20.0)
+    plain = sweep.plan_cell(s, 2, 2, stride=1, trimmed=False, start=start)
+    cut = sweep.plan_cell(s, 2, 2, stride=1, start=start)
+    assert cut.feasible and cut.money <= plain.money and size
