@@ -53,7 +53,7 @@ def ads(deadline: float = 1.0, rate: float = 1.0) -> list[QuerySpec]:
 
 def release(run: int) -> list[QuerySpec]:
     """Two queries with windows apart (run 1), or one whose window starts late (run 2)."""
-    third = QuerySpec("tpch_q3", 0.0, 1000.0, 1025.0, 1000, law(0.25, 60))
+    third = QuerySpec("tpch_q3", 0.0, 1000.0, 1040.0, 1000, law(0.6, 60))
     sixth = QuerySpec("tpch_q6", 1500.0, 2500.0, 2540.0, 1000, law(0.05, 20))
     return [third, sixth] if run == 1 else [sixth]
 
