@@ -57,6 +57,6 @@ def test_library_stands_without_optional_parts():
 
 def test_whole_tables_are_ranked_counted_and_joined(spark, sf):
     n_orders, n_lines = (spark.read.parquet(f"{sf}/{t}.parquet").count() for t in ("orders", "lineitem"))
-    assert registry.QUERIES["order_ranks_whole"](spark, sf).count() == n_orders
-    assert sum(r.n for r in registry.QUERIES["bucketed_orders_whole"](spark, sf).collect()) == n_orders
-    assert sum(r.n for r in registry.QUERIES["aligned_join_batches"](spark, sf).collect()) == n_lines
+    assert registry.QUERIES["order_ranks"](spark, sf).count() == n_orders
+    assert sum(r.n for r in registry.QUERIES["bucketed_orders"](spark, sf).collect()) == n_orders
+    assert sum(r.n for r in registry.QUERIES["aligned_join"](spark, sf).collect()) == n_lines
