@@ -86,6 +86,14 @@ def spread(*columns: str) -> F.Column:
     return F.xxhash64(*columns)
 
 
+def give_back() -> None:
+    """Gives memory that this process no longer needs back to the system."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # of glibc alone
+    if trim:
+        trim(0)
+
+
 def lean(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]):
     """run, and afterwards the worker, which serves other tasks later, gives the memory that it no longer needs back."""
 
@@ -93,9 +101,6 @@ def lean(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]):
         try:
             yield from run(batches)
         finally:
-            pa.default_memory_pool().release_unused()
-            trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # of glibc alone
-            if trim:
-                trim(0)
+            give_back()
 
     return done

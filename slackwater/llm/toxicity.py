@@ -29,7 +29,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import lean
+from .common import give_back, lean
 
 SPAN, DECAY, FLOOR = 7, 0.6, 0.35
 APART = re.compile(r"(?<!\S)(?:\S ){3,}\S(?!\S)")
@@ -177,6 +177,12 @@ class Model:
                     out[i, 2 * m :] = rows.max(axis=0) @ self.root
         return out
 
+    def forget(self) -> None:
+        """Drops what it knows of words; it learns them again where it is used."""
+        self.known = {}
+        for name in ("kernel", "table"):
+            self.__dict__.pop(name, None)
+
     def margins(self, x: np.ndarray) -> np.ndarray:
         return (x - self.mean) / self.scale @ self.weights[1:] + self.weights[0]
 
@@ -269,6 +275,7 @@ def train(texts: list[str], toxic: np.ndarray, landmarks: int = 48, penalty: flo
         margin[fold == f] = z[fold == f] @ w[1:] + w[0]
     model.weights = fit_machine(z, toxic, penalty)
     model.slope, model.shift = fit_curve(margin, toxic)
+    model.forget()
     return model
 
 
@@ -283,7 +290,12 @@ def fit(docs: DataFrame, labels: DataFrame, most: int = 6000) -> Model | None:
     rows: pd.DataFrame = docs.select("doc_id", "text").join(F.broadcast(known), "doc_id").toPandas()  # bounded by most
     rows = rows.sort_values(["doc_id", "text"]).drop_duplicates("doc_id")
     order = rows["doc_id"].map(lambda i: hash((int(i) * 2654435761) & 0xFFFFFFFF)).to_numpy().argsort(kind="stable")
-    return train(rows["text"].iloc[order].tolist(), rows["toxic"].iloc[order].to_numpy())
+    texts, toxic = rows["text"].iloc[order].tolist(), rows["toxic"].iloc[order].to_numpy()
+    del rows, order
+    model = train(texts, toxic)
+    del texts
+    give_back()  # the driver needs it for the stages that follow
+    return model
 
 
 SCHEMA = "doc_id long, held_out boolean, score double, predicted int"
