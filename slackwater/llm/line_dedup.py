@@ -97,9 +97,10 @@ def longest_runs(levels: list[DataFrame], tops: DataFrame | None = None) -> Data
         open_ = scratch(open_.join(open_.filter("looks").select(*group).distinct(), group, "left_semi"))
 
 
-def dedup_lines(docs: DataFrame, min_lines: int = 2, min_words: int = 1) -> DataFrame:
-    """docs (doc_id, text and any others; those named as in TAKEN are replaced) with kept_text, n_lines, n_removed and
-    longest_run (lines of the longest deleted run that starts in the document)."""
+def dedup_lines(docs: DataFrame, min_lines: int = 2, min_words: int = 1, lengths: bool = True) -> DataFrame:
+    """docs (doc_id, text and any others; those named as in TAKEN are replaced) with kept_text, n_lines, n_removed and,
+    if lengths are asked for, longest_run (lines of the longest deleted run that starts in the document). What is deleted
+    does not depend on lengths, which need as many jobs again."""
     docs = docs.drop(*TAKEN)
     lines = scratch(line_places(docs))
     levels = suffix_levels(lines)
@@ -111,16 +112,20 @@ def dedup_lines(docs: DataFrame, min_lines: int = 2, min_words: int = 1) -> Data
         for more in later[1:]:
             runs = runs.unionByName(more)
         runs = scratch(runs.filter((F.col("run") >= min_lines) | (F.col("n_words") >= min_words)).groupBy(*KEY, "pos").agg(F.max("run").alias("run")))
-        tops = runs.groupBy(*KEY).agg(F.max("run").alias("top"))
-        longest = longest_runs(levels, scratch(tops.filter("top > 1"))).groupBy(*KEY).agg(F.max("run").alias("longest"))
         ahead = Window.partitionBy(*KEY).orderBy("pos").rowsBetween(Window.unboundedPreceding, 0)
         marked = lines.select(*KEY, "pos", "at").join(runs, [lines[k].eqNullSafe(runs[k]) for k in (*KEY, "pos")], "left").select(*(lines[k] for k in (*KEY, "pos", "at")), "run")
         marked = marked.withColumn("covered", F.max(F.col("pos") + F.col("run")).over(ahead) > F.col("pos"))
         gone = marked.groupBy(*KEY).agg(F.collect_set(F.when(F.col("covered"), F.col("at"))).alias("gone"), F.max("run").alias("top")).filter(F.size("gone") > 0)
-        gone = gone.join(longest, [gone[k].eqNullSafe(longest[k]) for k in KEY], "left").select(*(gone[k] for k in KEY), "gone", F.coalesce("longest", "top").alias("longest_run"))
+        if lengths:
+            tops = runs.groupBy(*KEY).agg(F.max("run").alias("top"))
+            longest = longest_runs(levels, scratch(tops.filter("top > 1"))).groupBy(*KEY).agg(F.max("run").alias("longest"))
+            gone = gone.join(longest, [gone[k].eqNullSafe(longest[k]) for k in KEY], "left").select(*(gone[k] for k in KEY), "gone", F.coalesce("longest", "top").alias("longest_run"))
+        else:
+            gone = gone.drop("top")
     else:
         gone = docs.limit(0).select(*KEY, F.array().cast("array<int>").alias("gone"), F.lit(0).alias("longest_run"))
-    gone = gone.select(*(F.col(k).alias(f"gone_{k}") for k in KEY), "gone", "longest_run")
+    run = ["longest_run"] if lengths else []
+    gone = gone.select(*(F.col(k).alias(f"gone_{k}") for k in KEY), "gone", *run)
     df = docs.join(gone, docs["doc_id"].eqNullSafe(gone["gone_doc_id"]) & (docs["text_hash"] == gone["gone_text_hash"]), "left").drop("gone_doc_id", "gone_text_hash", "text_hash")
     kept = F.transform(F.array(F.split("text", "\n")), lambda a: F.array_join(F.transform(F.array_except(F.sequence(F.lit(0), F.size(a) - 1), F.col("gone")), lambda i: F.get(a, i)), "\n"))
     return df.select(
@@ -128,5 +133,5 @@ def dedup_lines(docs: DataFrame, min_lines: int = 2, min_words: int = 1) -> Data
         F.when(F.col("gone").isNull(), F.col("text")).otherwise(F.get(kept, F.lit(0))).alias("kept_text"),
         F.size(F.filter(F.split(F.coalesce("text", F.lit("")), "\n"), lambda x: F.btrim(x, F.lit(WHITE)) != "")).cast("long").alias("n_lines"),
         F.coalesce(F.size("gone"), F.lit(0)).cast("long").alias("n_removed"),
-        F.coalesce("longest_run", F.lit(0)).cast("long").alias("longest_run"),
+        *(F.coalesce(c, F.lit(0)).cast("long").alias(c) for c in run),
     )

@@ -149,6 +149,14 @@ def test_line_dedup_edges(spark):
     assert line_dedup.dedup_lines(table(spark, [(1, "only"), (2, "one")])).count() == 2
 
 
+def test_texts_do_not_depend_on_lengths(spark):
+    rows = [(1, "a b\nc\nd"), (2, "x\na b\nc\nd"), (2, None), (3, "c\nd\nc\nd\n\nalone"), (4, ""), (5, "a b")]
+    with_, without = (line_dedup.dedup_lines(table(spark, rows), lengths=x) for x in (True, False))
+    assert without.columns == [c for c in with_.columns if c != "longest_run"]
+    assert sorted(map(str, without.collect())) == sorted(map(str, with_.drop("longest_run").collect()))
+    assert line_dedup.dedup_lines(table(spark, rows).filter("false"), lengths=False).columns == without.columns
+
+
 def test_longest_runs_are_true(spark):
     lines = [f"line {k}" for k in range(40)]
     rows = [(1, "\n".join(lines)), (2, "\n".join(["new"] + lines[5:38] + ["end"])), (3, "\n".join(lines[:7] + lines[20:33])), (4, "a\n" * 11)]
