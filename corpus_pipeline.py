@@ -40,7 +40,7 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return back(docs, line_dedup.dedup_lines(apart(docs), min_words=1), "kept_text")
+    return back(docs, line_dedup.dedup_lines(apart(docs), min_words=1, lengths=False), "kept_text")
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
