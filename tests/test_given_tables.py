@@ -1,6 +1,9 @@
 """Planner queries read the given tables: whole, in Spark's tasks, and their answers follow what is in them."""
 
+import pytest
 from slackwater import registry
+from slackwater.plans.model import Arrivals
+from slackwater.workloads import specs as cases
 
 
 def reads(spark, sf, name):
@@ -14,3 +17,25 @@ def count(spark, sf, table):
 def test_array_plan_has_all_lines(spark, sf):
     assert reads(spark, sf, "array_plan") == {"lineitem.parquet"}
     assert sum(r.units for r in registry.QUERIES["array_plan"](spark, sf).collect()) == count(spark, sf, "lineitem")
+
+
+def days(spark, sf):
+    return {str(r.day) for r in spark.read.parquet(f"{sf}/events.parquet").selectExpr("to_date(ts) as day").distinct().collect()}
+
+
+def test_autoscale_timeline_has_every_day(spark, sf):
+    assert reads(spark, sf, "autoscale_timeline") == {"events.parquet"}
+    spans = {}
+    for r in registry.QUERIES["autoscale_timeline"](spark, sf).collect():
+        spans.setdefault(r.case_id, []).append((r.t_from, r.t_to, r.nodes))
+    assert set(spans) == days(spark, sf)
+    for rows in map(sorted, spans.values()):
+        assert rows[0][0] == 0 and rows[-1][1] > cases.WINDOW / 2
+        assert all(a[1] == pytest.approx(b[0]) and a[2] != b[2] for a, b in zip(rows, rows[1:], strict=False))
+    assert len({tuple(x) for x in spans.values()}) > 1  # days differ
+
+
+def test_counted_arrivals():
+    found = Arrivals.counted({1: 3, 4: 1}, 4, 40.0, 8)
+    assert found.knots == ((0.0, 0.0), (10.0, 6.0), (20.0, 6.0), (30.0, 6.0), (40.0, 8.0))
+    assert (found.when(6), found.when(7), found.when(8), found.total) == (10.0, 35.0, 40.0, 8.0)
