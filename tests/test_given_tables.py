@@ -39,3 +39,15 @@ def test_counted_arrivals():
     found = Arrivals.counted({1: 3, 4: 1}, 4, 40.0, 8)
     assert found.knots == ((0.0, 0.0), (10.0, 6.0), (20.0, 6.0), (30.0, 6.0), (40.0, 8.0))
     assert (found.when(6), found.when(7), found.when(8), found.total) == (10.0, 35.0, 40.0, 8.0)
+
+
+def test_backward_plans_take_all_events(spark, sf):
+    assert reads(spark, sf, "backward_example") == {"events.parquet"}
+    plans = {}
+    for r in registry.QUERIES["backward_example"](spark, sf).collect():
+        plans.setdefault((r.day, r.event_type, r.config), []).append(r)
+    events = spark.read.parquet(f"{sf}/events.parquet").selectExpr("cast(to_date(ts) as string) as day", "event_type").groupBy("day", "event_type").count().collect()
+    n = {(r["day"], r["event_type"]): r["count"] for r in events}
+    assert all(sum(r.units for r in rows) == n[key[:2]] for key, rows in plans.items())
+    assert all(r.start >= 0 and r.money == {2: 6.0, 4: 7.5}[r.config] for rows in plans.values() for r in rows)
+    assert {key[:2] for key in plans if key[2] == 4} == set(n)
