@@ -2,6 +2,7 @@
 
 import pytest
 from slackwater import registry
+from slackwater.plans import sizing
 from slackwater.plans.model import Arrivals
 from slackwater.workloads import specs as cases
 
@@ -51,3 +52,11 @@ def test_backward_plans_take_all_events(spark, sf):
     assert all(sum(r.units for r in rows) == n[key[:2]] for key, rows in plans.items())
     assert all(r.start >= 0 and r.money == {2: 6.0, 4: 7.5}[r.config] for rows in plans.values() for r in rows)
     assert {key[:2] for key in plans if key[2] == 4} == set(n)
+
+
+def test_base_sizes_of_all_suppliers(spark, sf):
+    assert reads(spark, sf, "base_size_grid") == {"lineitem.parquet"}
+    found = registry.QUERIES["base_size_grid"](spark, sf).collect()
+    assert sum(r.total for r in found) == count(spark, sf, "lineitem")
+    laws = [s.law for s in cases.thirteen()]
+    assert all(r.base_units == sizing.base_size(r.total, laws[r.l_suppkey % 13]) for r in found)
