@@ -60,3 +60,10 @@ def test_base_sizes_of_all_suppliers(spark, sf):
     assert sum(r.total for r in found) == count(spark, sf, "lineitem")
     laws = [s.law for s in cases.thirteen()]
     assert all(r.base_units == sizing.base_size(r.total, laws[r.l_suppkey % 13]) for r in found)
+
+
+def test_batch_sizes_of_all_suppliers(spark, sf):
+    assert reads(spark, sf, "batch_size_grid") == {"lineitem.parquet"}
+    found = registry.QUERIES["batch_size_grid"](spark, sf).collect()
+    assert sum(r.total for r in found if r.factor == 1) == count(spark, sf, "lineitem")
+    assert all((r.n_batches - 1) * r.batch_units < r.total <= r.n_batches * r.batch_units for r in found)
