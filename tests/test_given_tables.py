@@ -67,3 +67,10 @@ def test_batch_sizes_of_all_suppliers(spark, sf):
     found = registry.QUERIES["batch_size_grid"](spark, sf).collect()
     assert sum(r.total for r in found if r.factor == 1) == count(spark, sf, "lineitem")
     assert all((r.n_batches - 1) * r.batch_units < r.total <= r.n_batches * r.batch_units for r in found)
+
+
+def test_batched_times_of_all_lines(spark, sf):
+    assert reads(spark, sf, "batched_time_grid") == {"lineitem.parquet"}
+    found = registry.QUERIES["batched_time_grid"](spark, sf).collect()
+    assert sum(r.units for r in found if (r.share, r.procs) == (1.0, 1)) == count(spark, sf, "lineitem")
+    assert all(r.seconds == pytest.approx(((1 - r.share) + r.share / r.procs) * 0.12 * r.units + 8.75, abs=1e-6) for r in found)
