@@ -1,9 +1,11 @@
 """Planner queries read the given tables: whole, in Spark's tasks, and their answers follow what is in them."""
 
+from datetime import datetime, timedelta
+
 import pytest
 from slackwater import registry
 from slackwater.plans import sizing
-from slackwater.plans.model import Arrivals
+from slackwater.plans.model import Arrivals, Tariff
 from slackwater.workloads import specs as cases
 
 
@@ -74,3 +76,20 @@ def test_batched_times_of_all_lines(spark, sf):
     found = registry.QUERIES["batched_time_grid"](spark, sf).collect()
     assert sum(r.units for r in found if (r.share, r.procs) == (1.0, 1)) == count(spark, sf, "lineitem")
     assert all(r.seconds == pytest.approx(((1 - r.share) + r.share / r.procs) * 0.12 * r.units + 8.75, abs=1e-6) for r in found)
+
+
+def test_bills_of_all_users(spark, sf):
+    assert reads(spark, sf, "bill_timeline") == {"events.parquet"}
+    holds = {}
+    for r in sorted(spark.read.parquet(f"{sf}/events.parquet").collect(), key=lambda r: r.ts):
+        begin = (r.ts - datetime(2024, 1, 1)) // timedelta(seconds=1)
+        held = holds.setdefault(r.user_id, {})
+        held[begin] = max(held.get(begin, 0), 1 + int(r.value // 50))
+    wanted = {}
+    for user, held in holds.items():
+        spans = []
+        for a, b in zip(sorted(held), [*sorted(held)[1:], float("inf")], strict=True):
+            spans += [(a, min(b, a + 600), held[a])] + ([(a + 600, b, 0)] if a + 600 < b < float("inf") else [])
+        wanted[user] = Tariff().bill(spans)
+    found = {r.case_id: r.money for r in registry.QUERIES["bill_timeline"](spark, sf).collect()}
+    assert found == {user: pytest.approx(paid, abs=1e-6) for user, paid in wanted.items()}
