@@ -1,9 +1,11 @@
 """Planner queries read the given tables: whole, in Spark's tasks, and their answers follow what is in them."""
 
+from collections import Counter
 from datetime import datetime, timedelta
 
 import pytest
 from slackwater import registry
+from slackwater.experiments import plan_queries
 from slackwater.plans import sizing
 from slackwater.plans.model import Arrivals, Tariff
 from slackwater.workloads import specs as cases
@@ -93,3 +95,30 @@ def test_bills_of_all_users(spark, sf):
         wanted[user] = Tariff().bill(spans)
     found = {r.case_id: r.money for r in registry.QUERIES["bill_timeline"](spark, sf).collect()}
     assert found == {user: pytest.approx(paid, abs=1e-6) for user, paid in wanted.items()}
+
+
+def day_specs(spark, sf):
+    """The batches of each day as sizes of a query, all arrivals at the ends of slices."""
+    rows = spark.read.parquet(f"{sf}/events.parquet").selectExpr("cast(to_date(ts) as string) as day", "cast(floor(hour(ts) / 2) as int) + 1 as slice").collect()
+    found = {}
+    for r in rows:
+        found.setdefault(r.day, Counter())[r.slice] += 1
+    return found
+
+
+def day_run(counts, rung, since):
+    """When the boosted end starts, and when all is merged."""
+    one, clock, total, boosted = plan_queries.ONE, 0.0, sum(counts.values()), None
+    for i, s in enumerate(sorted(counts), 1):
+        clock = max(clock, s * 4500 / 12 / 8)
+        boosted = clock if i == since else boosted
+        clock += one.law.batch(rung if i >= since else 2, 4500 * counts[s] / total)
+    return boosted, clock + one.law.merge(rung, len(counts))
+
+
+def test_lattice_of_every_day(spark, sf):
+    assert reads(spark, sf, "boost_lattice_single") == {"events.parquet"}
+    counts, found = day_specs(spark, sf), registry.QUERIES["boost_lattice_single"](spark, sf).collect()
+    assert len(found) == len({(r.day, r.rung, r.since) for r in found}) == sum(6 * len(c) for c in counts.values())
+    assert all(r.feasible == (day_run(counts[r.day], r.rung, r.since)[1] <= plan_queries.DAY_DUE) for r in found)
+    assert {r.feasible for r in found} == {True, False}
