@@ -122,3 +122,13 @@ def test_lattice_of_every_day(spark, sf):
     assert len(found) == len({(r.day, r.rung, r.since) for r in found}) == sum(6 * len(c) for c in counts.values())
     assert all(r.feasible == (day_run(counts[r.day], r.rung, r.since)[1] <= plan_queries.DAY_DUE) for r in found)
     assert {r.feasible for r in found} == {True, False}
+
+
+def test_boost_chosen_on_every_day(spark, sf):
+    assert reads(spark, sf, "boost_chosen") == {"events.parquet"}
+    wanted = {}
+    for day, c in day_specs(spark, sf).items():
+        tries = ((n, k) for n in plan_queries.LADDER[1:] for k in range(len(c), 0, -1))
+        wanted[day] = next(((n, k) for n, k in tries if day_run(c, n, k)[1] <= plan_queries.DAY_DUE), None)
+    found = {r.day: (r.nodes, r.since) for r in registry.QUERIES["boost_chosen"](spark, sf).collect()}
+    assert found == {day: x for day, x in wanted.items() if x}
