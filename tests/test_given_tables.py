@@ -132,3 +132,14 @@ def test_boost_chosen_on_every_day(spark, sf):
         wanted[day] = next(((n, k) for n, k in tries if day_run(c, n, k)[1] <= plan_queries.DAY_DUE), None)
     found = {r.day: (r.nodes, r.since) for r in registry.QUERIES["boost_chosen"](spark, sf).collect()}
     assert found == {day: x for day, x in wanted.items() if x}
+
+
+def test_caps_of_all_suppliers(spark, sf):
+    assert reads(spark, sf, "cap_size_grid") == {"lineitem.parquet"}
+    found = registry.QUERIES["cap_size_grid"](spark, sf).collect()
+    assert sum(r.total for r in found) == count(spark, sf, "lineitem")
+    laws = [s.law for s in cases.thirteen()]
+    for r in found:
+        seconds = lambda x, r=r: laws[r.l_suppkey % 13].batch(2, x)
+        assert r.cap_units == 1 or seconds(r.cap_units) < seconds(r.total) / 2
+        assert seconds(r.cap_units + 1) >= seconds(r.total) / 2 - 1e-9
