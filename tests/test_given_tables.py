@@ -143,3 +143,17 @@ def test_caps_of_all_suppliers(spark, sf):
         seconds = lambda x, r=r: laws[r.l_suppkey % 13].batch(2, x)
         assert r.cap_units == 1 or seconds(r.cap_units) < seconds(r.total) / 2
         assert seconds(r.cap_units + 1) >= seconds(r.total) / 2 - 1e-9
+
+
+def test_cost_ratio_of_every_day(spark, sf):
+    assert reads(spark, sf, "cost_ratio") == {"events.parquet"}
+    wanted = {}
+    for day, c in day_specs(spark, sf).items():
+        due, bill, ladder = plan_queries.DAY_DUE, Tariff().bill, plan_queries.LADDER
+        ends = {n: day_run(c, n, 1)[1] for n in ladder}
+        fixed = [bill([(0.0, ends[n], n)]) for n in ladder if ends[n] <= due]
+        tries = ((n, *day_run(c, n, k)) for n in ladder for k in range(len(c), 0, -1))
+        elastic = next((bill([(0.0, begin, 2), (begin, stop, n)]) for n, begin, stop in tries if stop <= due), None)
+        if fixed and elastic:
+            wanted[day] = pytest.approx(min(fixed) / elastic, abs=1e-6)
+    assert {r.case_id: r.ratio for r in registry.QUERIES["cost_ratio"](spark, sf).collect()} == wanted != {}
