@@ -157,3 +157,26 @@ def test_cost_ratio_of_every_day(spark, sf):
         if fixed and elastic:
             wanted[day] = pytest.approx(min(fixed) / elastic, abs=1e-6)
     assert {r.case_id: r.ratio for r in registry.QUERIES["cost_ratio"](spark, sf).collect()} == wanted != {}
+
+
+def test_deadline_first_plan_of_every_day(spark, sf):
+    assert reads(spark, sf, "deadline_first_plan") == {"events.parquet"}
+    rows = spark.read.parquet(f"{sf}/events.parquet").selectExpr("cast(to_date(ts) as string) as day", "event_type", "hour(ts) + 1 as slice").collect()
+    counts, plans = {}, {}
+    for r in rows:
+        counts.setdefault(r.day, {}).setdefault(r.event_type, Counter())[r.slice] += 1
+    for r in registry.QUERIES["deadline_first_plan"](spark, sf).collect():
+        plans.setdefault(r.case_id, []).append(r)
+    assert set(plans) == set(counts)
+    for day, plan in plans.items():
+        plan, clock, left = sorted(plan, key=lambda r: r.seq), 0.0, dict.fromkeys(counts[day], 240)
+        due = {s.query_id: s.deadline for s in cases.measured(dict.fromkeys(left))}
+        for r in plan:
+            c, done = counts[day][r.query_id], 240 - left[r.query_id] + r.units
+            there = sum(n for s, n in c.items() if s * 10 <= r.start) + c[int(r.start // 10) + 1] * (r.start % 10) / 10
+            assert done <= there * 240 / sum(c.values()) + 1e-4 and r.start == pytest.approx(max(clock, r.ready), abs=1e-5)
+            left[r.query_id], clock = left[r.query_id] - r.units, r.end
+            assert left[r.query_id] == r.pending_after
+            ready = [x.query_id for x in plan[r.seq + 1 :] if x.ready <= r.start - 1e-5]
+            assert all(due[r.query_id] <= due[q] for q in ready)
+        assert not any(left.values())
